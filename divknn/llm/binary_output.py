@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_column, saved, shared_dir, slices, table
+from .common import saved, shared_dir, text_slices, table
 from .tokens import ChunkEncoder, vocabulary_path
 
 LENGTH, END = 2048, 2
@@ -77,13 +77,13 @@ def write_shards(docs: DataFrame, folder: str, path: str, length: int = LENGTH,
         writer = extents = encoder = None
         n_docs = 0
         for batch in batches:
-            texts, ids_of = byte_column(batch, "text"), batch.column("doc_id")
-            for a, b in slices(texts):
+            ids_of = batch.column("doc_id")
+            for a, b, texts in text_slices(batch):
                 if writer is None:
                     encoder = ChunkEncoder(path)
                     sinks = [files.open_output_stream(f"{stem}.{kind}.arrow") for kind in ("ids", "extents")]
                     writer, extents = _Writer(sinks[0], length), pa.ipc.new_file(sinks[1], _EXTENTS)
-                ids, offsets = encoder.encode(texts[a:b], end)
+                ids, offsets = encoder.encode(texts, end)
                 extents.write_batch(pa.RecordBatch.from_arrays([ids_of[a:b], pa.array(offsets[:-1] + writer.total), pa.array(np.diff(offsets))], schema=_EXTENTS))
                 writer.add(ids)
                 n_docs += b - a

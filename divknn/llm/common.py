@@ -8,6 +8,7 @@ import uuid
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: Byte classes of the word definition ``[^\x20\x09-\x0D]+``; ``bytes.split()`` cuts at just these.
@@ -39,22 +40,19 @@ def saved(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def byte_column(batch: pa.RecordBatch, name: str) -> list[bytes]:
-    """UTF-8 bytes of a string column; null becomes empty."""
-    values = batch.column(name).cast(pa.binary()).to_pylist()
-    return [v or b"" for v in values]
+def text_slices(batch: pa.RecordBatch, name: str = "text", limit: int = 2 << 20):
+    """(from, to, UTF-8 texts) of consecutive rows of about ``limit`` bytes together; one long text stays whole.
 
-
-def slices(texts: list[bytes], limit: int = 4 << 20):
-    """Index ranges of consecutive texts of about ``limit`` bytes together (one long text stays whole)."""
+    Null becomes empty. Only one slice is held as Python objects at a time.
+    """
+    column = batch.column(name)
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
     start, size = 0, 0
-    for i, t in enumerate(texts):
-        if i > start and size + len(t) > limit:
-            yield start, i
+    for i, n in enumerate(sizes.tolist() + [None]):
+        if i > start and (n is None or size + n > limit):
+            yield start, i, [t or b"" for t in column.slice(start, i - start).cast(pa.binary()).to_pylist()]
             start, size = i, 0
-        size += len(t)
-    if start < len(texts):
-        yield start, len(texts)
+        size += n or 0
 
 
 def word_codes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import byte_column, saved, slices, table
+from .common import saved, text_slices, table
 from .tokens import ChunkEncoder, vocabulary_path
 
 CAPACITY, END = 4096, 1
@@ -36,9 +36,9 @@ def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = END)
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = ChunkEncoder(path)
         for batch in batches:
-            texts, keys = byte_column(batch, "text"), batch.column("doc_id")
-            for a, b in slices(texts):
-                ids, offsets = encoder.encode(texts[a:b], end)
+            keys = batch.column("doc_id")
+            for a, b, texts in text_slices(batch):
+                ids, offsets = encoder.encode(texts, end)
                 sizes = np.diff(offsets)
                 count = -(-sizes // capacity)
                 owner = np.repeat(np.arange(b - a), count)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SPACE, byte_column, runs_of, saved, slices, table, word_codes
+from .common import SPACE, runs_of, saved, text_slices, table, word_codes
 
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper")
 RULES = ("symbols", "repeats", "dup_lines", "upper", "short")
@@ -100,9 +100,8 @@ _SCORED = "doc_id long, lang string, " + ", ".join(f"{c} long" for c in STATS) +
 
 def _score_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        texts = byte_column(batch, "text")
-        for a, b in slices(texts):
-            s = text_stats(texts[a:b])
+        for a, b, texts in text_slices(batch):
+            s = text_stats(texts)
             cols = [batch.column("doc_id")[a:b], batch.column("lang")[a:b]] + [pa.array(s[c].astype(np.int64)) for c in STATS]
             cols += [pa.array(base_failed(s))] + [pa.array(v.astype(np.int32)) for v in scores(s).values()]
             yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "lang", *STATS, "base_failed", *[f"s_{r}" for r in RULES]])
@@ -169,9 +168,9 @@ def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts, langs = byte_column(batch, "text"), batch.column("lang").to_pylist()
-            for a, b in slices(texts):
-                s = text_stats(texts[a:b])
+            langs = batch.column("lang").to_pylist()
+            for a, b, texts in text_slices(batch):
+                s = text_stats(texts)
                 failed, marks = base_failed(s), scores(s)
                 for rule in RULES:
                     limit = np.array([cutoffs.get(x, {}).get(rule, BINS + 1) for x in langs[a:b]])
