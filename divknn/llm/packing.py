@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import saved, text_slices, table
-from .tokens import ChunkEncoder, vocabulary_path
+from .tokens import encoder, vocabulary_path
 
 CAPACITY, END = 4096, 1
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -34,11 +34,10 @@ SALTS, PART = 16, 250_000
 
 def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end: int = END) -> DataFrame:
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = ChunkEncoder(path)
         for batch in batches:
             keys = batch.column("doc_id")
             for a, b, texts in text_slices(batch):
-                ids, offsets = encoder.encode(texts, end)
+                ids, offsets = encoder(path).encode(texts, end)
                 sizes = np.diff(offsets)
                 count = -(-sizes // capacity)
                 owner = np.repeat(np.arange(b - a), count)

@@ -2,10 +2,14 @@
 
 The tokenizer of ``word_bpe_49k.json`` never joins text across white space, so the ids of a text are
 those of its chunks in order. Each distinct chunk is encoded once per worker and looked up afterwards.
+Chunks of plain Latin letters, digits and signs are cut into the tokenizer's words here, and a new word
+goes to its model alone; all other chunks go through the whole tokenizer.
 """
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 
 VOCABULARY = "word_bpe_49k.json"
@@ -17,28 +21,43 @@ def vocabulary_path(name: str = VOCABULARY) -> str:
     return public_tokenizers.path(name)
 
 
-class ChunkEncoder:
-    """Bounded cache from chunk to ids: starts afresh when it holds ``most`` chunks."""
+#: Chunks of visible ASCII and of the Latin-1 letters, for which normalising is lower-casing.
+_PLAIN = re.compile(rb"(?:[!-~]|\xc3[\x80-\xbf])+")
+_LETTER = r"a-z\xdf-\xf6\xf8-\xff"
+#: The tokenizer's words in such chunks, and the line ends between chunks.
+_WORDS = re.compile(rf"\n|'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[0-9]|[^\n0-9{_LETTER}]+")
 
-    def __init__(self, path: str, most: int = 400_000):
-        from tokenizers import Tokenizer
 
-        self.tokenizer, self.most = Tokenizer.from_file(path), most
-        self._reset()
+def _byte_letters() -> dict[int, int]:
+    """The public byte-to-letter rule of byte-level BPE: visible Latin-1 stands for itself, the rest follows 255."""
+    visible = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    hidden = [b for b in range(256) if b not in visible]
+    return {b: 256 + i for i, b in enumerate(hidden) if b != 10}  # no word holds a line end
+
+
+_LETTERS = _byte_letters()
+_ENCODERS: dict[str, ChunkEncoder] = {}
+
 
-    def _reset(self) -> None:
-        self.place: dict[bytes, int] = {}
+def encoder(path: str) -> ChunkEncoder:
+    """One encoder per worker process, kept from task to task."""
+    if path not in _ENCODERS:
+        _ENCODERS[path] = ChunkEncoder(path)
+    return _ENCODERS[path]
+
+
+class _Store:
+    """Sequences of ids under keys, in one flat array."""
+
+    def __init__(self):
+        self.place: dict = {}
         self.flat = np.zeros(1 << 16, np.uint16)
         self.starts = np.zeros(1 << 14, np.int64)
         self.sizes = np.zeros(1 << 14, np.int64)
         self.used = 0
 
-    def _learn(self, fresh: list[bytes]) -> None:
-        coded = self.tokenizer.encode_batch([c.decode("utf-8") for c in fresh], add_special_tokens=False)
-        ids = [e.ids for e in coded]
-        sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        flat = np.fromiter((x for e in ids for x in e), np.uint16, int(sizes.sum()))
-        n, m = len(self.place), len(fresh)
+    def add(self, keys: list, flat: np.ndarray, sizes: np.ndarray) -> None:
+        n, m = len(self.place), len(keys)
         while self.used + len(flat) > len(self.flat):
             self.flat = np.concatenate((self.flat, np.zeros_like(self.flat)))
         while n + m > len(self.starts):
@@ -47,29 +66,71 @@ class ChunkEncoder:
         self.starts[n : n + m] = self.used + np.cumsum(sizes) - sizes
         self.sizes[n : n + m] = sizes
         self.used += len(flat)
-        self.place.update(zip(fresh, range(n, n + m), strict=True))
+        self.place.update(zip(keys, range(n, n + m), strict=True))
+
+    def missing(self, keys: list) -> list:
+        return list(set(keys) - self.place.keys())
+
+    def gather(self, keys: list) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all keys in order, how many each has)."""
+        at = np.fromiter(map(self.place.__getitem__, keys), np.int64, len(keys))
+        sizes = self.sizes[at]
+        before = np.cumsum(sizes) - sizes
+        return self.flat[np.repeat(self.starts[at] - before, sizes) + np.arange(sizes.sum())], sizes
+
+
+class ChunkEncoder:
+    """Bounded caches from chunk and word to ids: each starts afresh when it holds ``most``."""
+
+    def __init__(self, path: str, most: int = 500_000):
+        from tokenizers import Tokenizer
+
+        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        self.chunks, self.words = _Store(), _Store()
+
+    def _learn_words(self, fresh: list[str]) -> None:
+        spelled = "\n".join(fresh).encode("utf-8").decode("latin-1").translate(_LETTERS).split("\n")
+        model = self.tokenizer.model
+        ids = [[t.id for t in model.tokenize(w)] for w in spelled]
+        self.words.add(fresh, np.array([x for e in ids for x in e], np.uint16), np.fromiter(map(len, ids), np.int64, len(ids)))
+
+    def _learn(self, fresh: list[bytes]) -> None:
+        match = _PLAIN.fullmatch
+        plain = [c for c in fresh if match(c) and b"<|" not in c]
+        if plain:
+            if len(self.words.place) > self.most:
+                self.words = _Store()
+            if "\n" not in self.words.place:
+                self.words.add(["\n"], np.zeros(0, np.uint16), np.zeros(1, np.int64))
+            words = _WORDS.findall(b"\n".join(plain).decode("utf-8").lower())
+            if unknown := self.words.missing(words):
+                self._learn_words(unknown)
+            flat, sizes = self.words.gather(words)
+            ends = np.fromiter((w == "\n" for w in words), bool, len(words))
+            total = np.cumsum(sizes)
+            self.chunks.add(plain, flat, np.diff(np.concatenate(([0], total[ends], total[-1:]))))
+        if len(plain) < len(fresh):
+            known = set(plain)
+            rest = [c for c in fresh if c not in known]
+            ids = [self.tokenizer.encode(c.decode("utf-8"), add_special_tokens=False).ids for c in rest]
+            self.chunks.add(rest, np.array([x for e in ids for x in e], np.uint16), np.fromiter(map(len, ids), np.int64, len(ids)))
 
     def encode(self, texts: list[bytes], end: int) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, each closed by ``end``; offsets of the texts in it)."""
-        if len(self.place) > self.most:
-            self._reset()
+        if len(self.chunks.place) > self.most:
+            self.chunks = _Store()
         chunks: list[bytes] = []
-        counts = np.zeros(len(texts), np.int64)
-        for i, t in enumerate(texts):
-            own = t.split()
-            counts[i] = len(own)
-            chunks += own
-        fresh = set(chunks) - self.place.keys()
-        if fresh:
-            self._learn(list(fresh))
-        at = np.fromiter(map(self.place.__getitem__, chunks), np.int64, len(chunks))
-        sizes = self.sizes[at]
-        edge = np.concatenate(([0], np.cumsum(counts)))
-        total = np.concatenate(([0], np.cumsum(sizes)))
-        per_text = total[edge[1:]] - total[edge[:-1]]
-        offsets = np.concatenate(([0], np.cumsum(per_text + 1)))
+        edge = [0]
+        for t in texts:
+            chunks += t.split()
+            edge.append(len(chunks))
+        if fresh := self.chunks.missing(chunks):
+            self._learn(fresh)
+        flat, sizes = self.chunks.gather(chunks)
+        total = np.concatenate(([0], np.cumsum(sizes)))[edge]
+        offsets = total + np.arange(len(edge))
         out = np.full(offsets[-1], end, np.uint16)
-        source = np.repeat(self.starts[at] - total[:-1], sizes) + np.arange(total[-1])
-        target = np.arange(total[-1]) + np.repeat(np.arange(len(texts)), per_text)  # one end id for each text before
-        out[target] = self.flat[source]
+        inside = np.ones(offsets[-1], bool)
+        inside[offsets[1:] - 1] = False
+        out[inside] = flat
         return out, offsets

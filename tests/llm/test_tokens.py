@@ -8,7 +8,7 @@ from tokenizers import Tokenizer
 
 from .helpers import AWKWARD, docs
 
-TRICKY = [(40, "It's  a <|endoftext|> TEST of　spaces é ́x ΣΑΣ 12345 don't've\n\n'll"), (41, "ﬁ Å̧ ​ zero"), (42, "word " * 9000)]
+TRICKY = [(40, "It's  a <|endoftext|> TEST of　spaces é ́x ΣΑΣ 12345 don't've\n\n'll"), (41, "ﬁ Å̧ ​ zero"), (42, "word " * 9000), (43, "ÀÖ×÷ßÿ IT'S we'll's a\x85b\xa0c\x1cd\x1f ª²µ <|startoftext|> <| x|> ###De%%% 1234 ÇA.\"'re'T")]
 
 
 def ids_of(rows, end):
