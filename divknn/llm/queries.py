@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import binary_output, packing, quality, secrets
+from . import binary_output, jaccard_join, packing, quality, secrets
 
 QUERIES = {
     "op2_secret_scan": secrets.op2_secret_scan,
+    "op3_jaccard_join": jaccard_join.op3_jaccard_join,
     "op7_arrow_tokens": binary_output.op7_arrow_tokens,
     "op8_quality_rules": quality.op8_quality_rules,
     "op10_best_fit_packing": packing.op10_best_fit_packing,
