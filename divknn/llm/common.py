@@ -6,7 +6,6 @@ import tempfile
 import uuid
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
@@ -55,19 +54,18 @@ def text_slices(batch: pa.RecordBatch, name: str = "text", limit: int = 2 << 20)
         size += n or 0
 
 
-def word_codes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def word_codes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
     """(code of each word, offsets of the texts in it, distinct words): equal words share a code."""
-    words: list[bytes] = []
-    offsets = [0]
-    for t in texts:
-        words += t.split()
-        offsets.append(len(words))
-    if not words:
-        return np.zeros(0, np.int64), np.array(offsets), np.zeros(0, object)
-    array = np.empty(len(words), object)
-    array[:] = words
-    codes, distinct = pd.factorize(array)
-    return codes.astype(np.int64), np.array(offsets), distinct
+    raw = np.frombuffer(b" ".join([b"", *texts, b""]), np.uint8)
+    inside = ~SPACE[raw]
+    edges = np.flatnonzero(inside[1:] != inside[:-1])
+    begin, size = edges[::2] + 1, edges[1::2] - edges[::2]
+    text_start = np.cumsum([1] + [len(t) + 1 for t in texts])
+    offsets = np.searchsorted(begin, text_start)
+    where = np.concatenate(([0], np.cumsum(size))).astype(np.int32)
+    words = pa.Array.from_buffers(pa.binary(), len(size), [None, pa.py_buffer(where), pa.py_buffer(np.ascontiguousarray(raw[inside]))])
+    coded = words.dictionary_encode()
+    return coded.indices.to_numpy().astype(np.int64), offsets, coded.dictionary.to_pylist()
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -79,7 +77,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
     """(64-bit hash of each word, offsets, codes, distinct words); the same hash in every process."""
     import xxhash
 

@@ -12,6 +12,8 @@ import re
 
 import numpy as np
 
+from .common import word_codes
+
 VOCABULARY = "word_bpe_49k.json"
 
 
@@ -71,9 +73,10 @@ class _Store:
     def missing(self, keys: list) -> list:
         return list(set(keys) - self.place.keys())
 
-    def gather(self, keys: list) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all keys in order, how many each has)."""
+    def gather(self, keys: list, codes: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all keys in order, how many each has); with ``codes``, of ``keys[code]`` for each code."""
         at = np.fromiter(map(self.place.__getitem__, keys), np.int64, len(keys))
+        at = at if codes is None else at[codes]
         sizes = self.sizes[at]
         before = np.cumsum(sizes) - sizes
         return self.flat[np.repeat(self.starts[at] - before, sizes) + np.arange(sizes.sum())], sizes
@@ -119,14 +122,10 @@ class ChunkEncoder:
         """(ids of all texts, each closed by ``end``; offsets of the texts in it)."""
         if len(self.chunks.place) > self.most:
             self.chunks = _Store()
-        chunks: list[bytes] = []
-        edge = [0]
-        for t in texts:
-            chunks += t.split()
-            edge.append(len(chunks))
-        if fresh := self.chunks.missing(chunks):
+        codes, edge, distinct = word_codes(texts)
+        if fresh := [c for c in distinct if c not in self.chunks.place]:
             self._learn(fresh)
-        flat, sizes = self.chunks.gather(chunks)
+        flat, sizes = self.chunks.gather(distinct, codes)
         total = np.concatenate(([0], np.cumsum(sizes)))[edge]
         offsets = total + np.arange(len(edge))
         out = np.full(offsets[-1], end, np.uint16)
