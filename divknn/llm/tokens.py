@@ -1,7 +1,7 @@
 """Token ids by a public tokenizer, one chunk of non-space bytes at a time.
 
 The tokenizer of ``word_bpe_49k.json`` never joins text across white space, so the ids of a text are
-those of its chunks in order. Each distinct chunk is encoded once per worker and looked up afterwards.
+those of its chunks in order. Each distinct chunk is encoded once per task and looked up afterwards.
 Chunks of plain Latin letters, digits and signs are cut into the tokenizer's words here, and a new word
 goes to its model alone; all other chunks go through the whole tokenizer.
 """
@@ -38,14 +38,16 @@ def _byte_letters() -> dict[int, int]:
 
 
 _LETTERS = _byte_letters()
-_ENCODERS: dict[str, ChunkEncoder] = {}
+_TOKENIZERS: dict = {}
 
 
-def encoder(path: str) -> ChunkEncoder:
-    """One encoder per worker process, kept from task to task."""
-    if path not in _ENCODERS:
-        _ENCODERS[path] = ChunkEncoder(path)
-    return _ENCODERS[path]
+def _tokenizer(path: str):
+    """One per worker process, kept from task to task."""
+    if path not in _TOKENIZERS:
+        from tokenizers import Tokenizer
+
+        _TOKENIZERS[path] = Tokenizer.from_file(path)
+    return _TOKENIZERS[path]
 
 
 class _Store:
@@ -83,12 +85,10 @@ class _Store:
 
 
 class ChunkEncoder:
-    """Bounded caches from chunk and word to ids: each starts afresh when it holds ``most``."""
-
-    def __init__(self, path: str, most: int = 500_000):
-        from tokenizers import Tokenizer
+    """Bounded caches from chunk and word to ids: each starts afresh when it holds ``most``. One per task."""
 
-        self.tokenizer, self.most = Tokenizer.from_file(path), most
+    def __init__(self, path: str, most: int = 300_000):
+        self.tokenizer, self.most = _tokenizer(path), most
         self.chunks, self.words = _Store(), _Store()
 
     def _learn_words(self, fresh: list[str]) -> None:
