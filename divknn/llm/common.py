@@ -108,3 +108,22 @@ def runs_of(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Starts and ends of the maximal runs of True."""
     edges = np.flatnonzero(np.diff(np.concatenate(([0], mask.astype(np.int8), [0]))))
     return edges[::2], edges[1::2]
+
+
+#: For comparing words whatever their case and signs: ASCII letters in lower case, other ASCII but digits as spaces.
+FOLD = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
+
+
+class HashSet:
+    """Membership of 64-bit hashes: a bit table first, then a sorted array. Its size is that of what it holds."""
+
+    def __init__(self, values: np.ndarray, bits: int = 22):
+        self.values = np.unique(values.astype(np.uint64))
+        self.table, self.mask = np.zeros(1 << bits, bool), np.uint64((1 << bits) - 1)
+        self.table[(self.values & self.mask).astype(np.int64)] = True
+
+    def where(self, x: np.ndarray) -> np.ndarray:
+        """Places in ``x`` whose value is held."""
+        maybe = np.flatnonzero(self.table[(x & self.mask).astype(np.int64)])
+        at = np.minimum(np.searchsorted(self.values, x[maybe]), len(self.values) - 1)
+        return maybe[self.values[at] == x[maybe]] if len(self.values) else maybe[:0]

@@ -175,7 +175,7 @@ def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE
     rows = saved(signed(docs, percent, k))
     nodes = rows.where("node is not null").select("node", "n_shingles", "own", "below", "rest").dropDuplicates(["node"])
     posted = nodes.select("node", F.explode(F.filter(F.concat("own", "below", "rest"), lambda x: x != 0)).alias("key"))
-    shared = posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key")
+    shared = saved(posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))  # apart, so that a hot key can be split in the join
     met = saved(posted.join(shared, "key"))
     wanted = saved(rows.join(met.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")))
     sets = saved(_node_sets(docs, wanted, k))

@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from . import binary_output, fm_index, jaccard_join, packing, quality, secrets, suffix_array
+from . import binary_output, decontaminate, fm_index, jaccard_join, licenses, packing, quality, secrets, suffix_array
 
 QUERIES = {
     "op1_fm_index_dedup": fm_index.op1_fm_index_dedup,
     "op2_secret_scan": secrets.op2_secret_scan,
     "op3_jaccard_join": jaccard_join.op3_jaccard_join,
     "op4_suffix_array_dedup": suffix_array.op4_suffix_array_dedup,
+    "op5_license_scan": licenses.op5_license_scan,
     "op7_arrow_tokens": binary_output.op7_arrow_tokens,
     "op8_quality_rules": quality.op8_quality_rules,
+    "op9_benchmark_decontamination": decontaminate.op9_benchmark_decontamination,
     "op10_best_fit_packing": packing.op10_best_fit_packing,
 }
 ORACLES: dict[str, str] = {}

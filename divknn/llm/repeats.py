@@ -129,7 +129,7 @@ def _live_segments(ranked: DataFrame, kind) -> DataFrame:
                 cols = [anchor, content, docs[a + owner], keys[a + owner], start.astype(np.int32), size.astype(np.int32)]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["anchor", "content", "doc", "key", "start", "size"])
 
-    again = ranked.select("text").mapInArrow(count, "anchor long, n short").groupBy("anchor").agg(F.sum("n").alias("n")).where("n > 1").select("anchor")
+    again = saved(ranked.select("text").mapInArrow(count, "anchor long, n short").groupBy("anchor").agg(F.sum("n").alias("n")).where("n > 1").select("anchor"))  # apart, so that a hot anchor can be split in the join
     every = ranked.mapInArrow(place, "anchor long, content long, doc long, key int, start int, size int")
     return saved(every.join(again, "anchor"))
 
