@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import binary_output, decontaminate, fm_index, jaccard_join, licenses, packing, quality, secrets, suffix_array
+from . import binary_output, decontaminate, fm_index, html_pages, jaccard_join, licenses, packing, quality, secrets, suffix_array
 
 QUERIES = {
     "op1_fm_index_dedup": fm_index.op1_fm_index_dedup,
@@ -10,6 +10,7 @@ QUERIES = {
     "op3_jaccard_join": jaccard_join.op3_jaccard_join,
     "op4_suffix_array_dedup": suffix_array.op4_suffix_array_dedup,
     "op5_license_scan": licenses.op5_license_scan,
+    "op6_html_extraction": html_pages.op6_html_extraction,
     "op7_arrow_tokens": binary_output.op7_arrow_tokens,
     "op8_quality_rules": quality.op8_quality_rules,
     "op9_benchmark_decontamination": decontaminate.op9_benchmark_decontamination,
