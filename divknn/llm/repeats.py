@@ -18,7 +18,6 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,7 +26,7 @@ from .common import SPACE, _mix, runs_of, saved, text_slices, word_hashes
 
 NULL_DOC = (1 << 63) - 1
 #: Most distinct contents of an anchor in one shard.
-HOT = 20_000
+HOT = 2_000
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 
@@ -35,7 +34,7 @@ _INVERSE = pow(_BASE, -1, 1 << 64)
 class Words:
     """Words as symbols."""
 
-    window, gram, within, shard_symbols, slice_bytes = 50, 6, False, 400_000, 1 << 20
+    window, gram, within, shard_symbols, slice_bytes = 50, 6, False, 100_000, 1 << 20
 
     @staticmethod
     def symbols(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -51,7 +50,7 @@ class Words:
 class Bytes:
     """UTF-8 bytes as symbols; a place counts as earlier within a document too."""
 
-    window, gram, within, shard_symbols, slice_bytes = 100, 24, True, 2_000_000, 256 << 10
+    window, gram, within, shard_symbols, slice_bytes = 100, 24, True, 500_000, 256 << 10
     _table = _mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(_BASE))
 
     @classmethod
@@ -154,27 +153,28 @@ def _fetch(kind):
     return fetch
 
 
-def window_runs(anchor, content, at: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> pd.DataFrame:
-    """Runs of windows whose first occurrence moves along with them.
+def window_runs(at: np.ndarray, doc: np.ndarray, pos: np.ndarray, count: np.ndarray) -> pa.Array:
+    """For each body, the runs of its windows whose first occurrence moves along with them.
 
-    ``at`` counts the windows of each content from 0; ``anchor``/``content`` repeat per window.
+    ``at`` numbers the windows of each body from 0; ``count`` has how many each has.
     """
     base = pos - at
-    cut = np.ones(len(at), bool)
-    cut[1:] = (at[1:] != at[:-1] + 1) | (doc[1:] != doc[:-1]) | (base[1:] != base[:-1]) | (content[1:] != content[:-1]) | (anchor[1:] != anchor[:-1])
+    cut = at == 0
+    cut[1:] |= (doc[1:] != doc[:-1]) | (base[1:] != base[:-1])
     first = np.flatnonzero(cut)
-    end = np.append(first[1:], len(at)) - 1
-    flat = pd.DataFrame({"anchor": anchor[first], "content": content[first], "run": [{"from": int(a), "to": int(b) + 1, "doc": int(d), "base": int(p)} for a, b, d, p in zip(at[first], at[end], doc[first], base[first], strict=True)]})
-    return flat.groupby(["anchor", "content"], sort=False)["run"].agg(list).reset_index().rename(columns={"run": "runs"})
+    last = np.append(first[1:], len(at)) - 1
+    runs = pa.StructArray.from_arrays([pa.array(at[first].astype(np.int32)), pa.array((at[last] + 1).astype(np.int32)), pa.array(doc[first]), pa.array(base[first])], names=["from", "to", "doc", "base"])
+    edge = np.searchsorted(first, np.concatenate(([0], np.cumsum(count))))
+    return pa.ListArray.from_arrays(pa.array(edge.astype(np.int32)), runs)
 
 
 def _resolver(kind, index):
-    """index(bodies, docs, starts, window) -> per window of each body: (first doc, first position)."""
+    """index(bodies, docs, starts, window) -> per window of each body: (its number, first doc, first position); and how many a body."""
 
-    def resolve(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values(["doc", "start"], kind="stable")
-        at, doc, pos, count = index(list(frame["body"]), frame["doc"].to_numpy(), frame["start"].to_numpy(), kind.window)
-        return window_runs(np.repeat(frame["anchor"].to_numpy(), count), np.repeat(frame["content"].to_numpy(), count), at, doc, pos)
+    def resolve(shard: pa.Table) -> pa.Table:
+        shard = shard.sort_by([("doc", "ascending"), ("start", "ascending")])
+        runs = window_runs(*index(shard.column("body").to_pylist(), shard.column("doc").to_numpy(), shard.column("start").to_numpy(), kind.window))
+        return pa.table({"anchor": shard.column("anchor"), "content": shard.column("content"), "runs": runs})
 
     return resolve
 
@@ -219,7 +219,7 @@ def repeated_spans(docs: DataFrame, kind, index, hot: int = HOT) -> DataFrame:
     asked = asked.groupBy("doc", "key").agg(F.collect_list(F.struct("anchor", "content", "start", "size", "hot")).alias("asked"))
     fetched = ranked.join(asked, ["doc", "key"]).select("doc", "text", "asked").mapInArrow(_fetch(kind), _FETCHED)
     dealt = fetched.where("not hot").withColumn("shard", F.pmod(F.xxhash64("anchor"), F.lit(shards)))
-    runs = dealt.groupBy("shard").applyInPandas(_resolver(kind, index), _RUNS)
+    runs = dealt.groupBy("shard").applyInArrow(_resolver(kind, index), _RUNS)
     if any_hot:
         runs = runs.unionByName(_single_windows(fetched, kind))
     seen = live.join(runs, ["anchor", "content"]).select("doc", "key", "start", F.explode("runs").alias("r"))
