@@ -11,9 +11,10 @@ Sizes are in classes; a set that may have a partner in the class below is also c
 Empty parts are no keys (they would be shared by strangers); sets that have one also carry the classic
 prefix of one order, so that pairs which agree in empty parts alone still meet.
 
-Sets that are equal form one node. Nodes that share a key are compared with one pivot of the key; keys
-whose nodes are by then in one component are settled, the others compare what is left, pair by pair. So
-groups of copies cost a number of comparisons in proportion to their size.
+Sets that are equal form one node. Where many nodes share a key they are compared with one pivot of it
+first; keys whose nodes are by then in one component are settled, the others count for each pair left
+under how many orders it agrees. So groups of copies cost a number of comparisons in proportion to their
+size, and whole sets meet only for pairs that passed the filters.
 
 Shingles are 64-bit hashes of word hashes. Null or empty texts have an empty set and link with nothing.
 A null ``doc_id`` counts as no candidate for the smallest id. Repeated rows are one node. Other columns
@@ -34,7 +35,9 @@ from .components import connected
 
 SHINGLE, PERCENT = 3, 90
 CLASS_RATIO = 1.5
-_SIGNED = "doc_id long, n_shingles long, node long, own array<long>, below array<long>, rest array<long>"
+_SIGNED = "doc_id long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
+#: Keys with more nodes are first compared with a pivot; all pairs are left for when they are few for each row.
+MANY, PAIRS_A_ROW = 8, 8
 
 
 class Classes:
@@ -142,7 +145,7 @@ def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFra
                     s, e = offsets[i], offsets[i + 1]
                     rest_n[i] = n[i] - (n[i] * percent + 99) // 100 + 1
                     rest.append(_mix(grams[s:e][np.lexsort((grams[s:e], -long[s:e]))[: rest_n[i]]] + np.uint64(0xFEED)))
-                cols = [ids[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), _lists(keys, edge), _lists(keys2, edge2), _lists(np.concatenate(rest), np.concatenate(([0], np.cumsum(rest_n))))]
+                cols = [ids[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(np.concatenate(rest), np.concatenate(([0], np.cumsum(rest_n))))]
                 yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in _SIGNED.split(", ")])
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(sign, _SIGNED)
@@ -161,51 +164,65 @@ def _node_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     return texts.mapInArrow(read, "node long, tokens array<long>").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
-def _agreeing(a: str, b: str, percent: int) -> Column:
-    """Orders under which two sets of one class share their prefix must be K - d at least."""
-    same = lambda x, y: F.size(F.filter(F.zip_with(x, y, lambda p, q: p == q), lambda e: e))
-    d = F.floor((F.col(f"{a}.n_shingles") + F.col(f"{b}.n_shingles")) * (100 - percent) / (100 + percent))
-    enough = lambda x, y: (F.size(x) > 0) & (F.size(x) == F.size(y)) & (same(x, y) >= F.size(x) - d)
-    x, y = ([F.col(f"{t}.own"), F.col(f"{t}.below")] for t in (a, b))
-    return enough(x[0], y[0]) | enough(x[0], y[1]) | enough(x[1], y[0]) | enough(x[1], y[1])
+def _facts(rows: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Per node: its size, class, and of each cut the slices and how many are empty."""
+    empty = lambda c: F.size(F.filter(c, lambda x: x == 0))
+    cuts = [F.size("own").alias("k_own"), empty("own").alias("e_own"), F.size("below").alias("k_below"), empty("below").alias("e_below")]
+    return rows.join(wanted.select("node"), "node", "left_semi").select("node", "n_shingles", "size_class", *cuts).dropDuplicates(["node"])
+
+
+def _must_agree(percent: int) -> Column:
+    """Non-empty slices of the cut ``c`` under which the sets x and y must agree to be linked."""
+    own = lambda t: F.col(f"{t}.size_class") == F.col("c")
+    empty = lambda t: F.when(own(t), F.col(f"{t}.e_own")).otherwise(F.col(f"{t}.e_below"))
+    k = F.when(own("x"), F.col("x.k_own")).otherwise(F.col("x.k_below"))
+    d = F.floor((F.col("x.n_shingles") + F.col("y.n_shingles")) * (100 - percent) / (100 + percent))
+    return F.when(F.col("c") < 0, F.lit(1)).otherwise(F.greatest(k - d - F.least(empty("x"), empty("y")), F.lit(1)))
 
 
 def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFrame:
     """``(doc_id, n_shingles, component_id)`` per row of ``docs``."""
     rows = saved(signed(docs, percent, k))
-    nodes = rows.where("node is not null").select("node", "n_shingles", "own", "below", "rest").dropDuplicates(["node"])
-    posted = nodes.select("node", F.explode(F.filter(F.concat("own", "below", "rest"), lambda x: x != 0)).alias("key"))
+    nodes = rows.where("node is not null").select("node", "size_class", "own", "below", "rest").dropDuplicates(["node"])
+    key = lambda x, c: F.struct(x.alias("key"), c.alias("c"))
+    keys = F.concat(F.transform("own", lambda x: key(x, F.col("size_class"))), F.transform("below", lambda x: key(x, F.col("size_class") - 1)), F.transform("rest", lambda x: key(x, F.lit(-1))))
+    posted = nodes.select("node", F.explode(keys).alias("k")).select("node", "k.key", "k.c").where("key <> 0")
     shared = saved(posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))  # apart, so that a hot key can be split in the join
     met = saved(posted.join(shared, "key"))
     wanted = saved(rows.join(met.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")))
     sets = saved(_node_sets(docs, wanted, k))
-    prefixes = saved(rows.join(wanted.select("node"), "node", "left_semi").select("node", "n_shingles", "own", "below").dropDuplicates(["node"]))
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        x, y, p = prefixes.alias("x"), prefixes.alias("y"), pairs.alias("p")
-        near = p.join(x, F.col("p.a") == F.col("x.node")).join(y, F.col("p.b") == F.col("y.node"))
-        near = near.where((F.least("x.n_shingles", "y.n_shingles") * 100 >= F.greatest("x.n_shingles", "y.n_shingles") * percent) & _agreeing("x", "y", percent)).select("a", "b")
+    facts = saved(_facts(rows, wanted))
+
+    def verified(pairs: DataFrame, leniency: int) -> DataFrame:
+        """pairs: (a, b, c), one row for each key that both have. ``leniency`` divides what is asked: 1 where all keys were counted."""
+        x, y = facts.alias("x"), facts.alias("y")
+        counted = pairs.groupBy("a", "b", "c").agg(F.count("*").alias("n"))
+        near = counted.join(x, F.col("a") == F.col("x.node")).join(y, F.col("b") == F.col("y.node"))
+        alike = F.least("x.n_shingles", "y.n_shingles") * 100 >= F.greatest("x.n_shingles", "y.n_shingles") * percent
+        near = saved(near.where(alike & (F.col("n") * leniency >= _must_agree(percent))).select("a", "b").distinct())
         s, t = sets.alias("s"), sets.alias("t")
         both = near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node"))
         common = F.size(F.array_intersect("s.tokens", "t.tokens"))
         union = F.size("s.tokens") + F.size("t.tokens") - common
-        return both.where(100 * common >= percent * union).select("a", "b")
+        return saved(both.where(100 * common >= percent * union).select("a", "b"))
 
-    edges, labels = None, met.select("node").distinct().withColumn("comp", F.col("node"))
+    edges, labels, last = None, met.select("node").distinct().withColumn("comp", F.col("node")), False
     for turn in range(4):
         open_ = met.join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
         sums = open_.groupBy("key", "comp").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("same"), F.count("*").alias("comps")).where("comps > 1")
-        live = saved(open_.join(sums.select("key"), "key"))
-        left = sums.agg(F.sum((F.col("n") * F.col("n") - F.col("same")) / 2).alias("pairs"), F.sum("n").alias("rows")).first()
+        sums = saved(sums.select("key", "n", ((F.col("n") * F.col("n") - F.col("same")) / 2).alias("pairs")))
+        left = sums.agg(F.sum("pairs").alias("pairs"), F.sum("n").alias("rows"), F.max("n").alias("most")).first()
         if not left["rows"]:
             break
-        if last := turn == 3 or (turn > 0 and left["pairs"] <= 4 * left["rows"]):
+        if last := turn == 3 or left["most"] <= MANY or (turn > 0 and left["pairs"] <= PAIRS_A_ROW * left["rows"]):
+            live = open_.join(sums.select("key"), "key")
             x, y = live.alias("x"), live.alias("y")
-            pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.comp") != F.col("y.comp"))).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"))
+            pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.comp") != F.col("y.comp"))).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"), F.col("x.c").alias("c"))
+            found = verified(pairs, 1)
         else:
-            pivot = live.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("h"), F.col("node").alias("node"), F.col("comp").alias("comp"))).alias("p"))
-            pairs = live.join(pivot, "key").where("comp <> p.comp").select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"))
-        found = saved(verified(pairs.distinct()))
+            live = saved(open_.join(sums.where(F.col("n") > MANY).select("key"), "key"))
+            pivot = saved(live.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("h"), F.col("node").alias("node"), F.col("comp").alias("comp"))).alias("p")))
+            found = verified(live.join(pivot, "key").where("comp <> p.comp").select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"), "c"), 3)
         edges = found if edges is None else edges.unionByName(found)
         labels = saved(connected(edges))
         if last:
