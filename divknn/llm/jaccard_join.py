@@ -13,8 +13,10 @@ prefix of one order, so that pairs which agree in empty parts alone still meet.
 
 Sets that are equal form one node. Where many nodes share a key they are compared with one pivot of it
 first; keys whose nodes are by then in one component are settled, the others count for each pair left
-under how many orders it agrees. So groups of copies cost a number of comparisons in proportion to their
-size, and whole sets meet only for pairs that passed the filters.
+under how many orders it agrees. Pairs that agree enough are held against parity sketches - bit b says
+whether the set has an odd number of tokens of hash b - which differ in d bits at most for linked sets. So
+groups of copies cost a number of comparisons in proportion to their size, and whole sets meet only for
+pairs that passed the filters.
 
 Shingles are 64-bit hashes of word hashes. Null or empty texts have an empty set and link with nothing.
 A null ``doc_id`` counts as no candidate for the smallest id. Repeated rows are one node. Other columns
@@ -38,6 +40,8 @@ CLASS_RATIO = 1.5
 _SIGNED = "doc_id long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
 #: Keys with more nodes are first compared with a pivot; all pairs are left for when they are few for each row.
 MANY, PAIRS_A_ROW = 8, 8
+#: Bits of a set's parity sketch.
+SKETCH = 4096
 
 
 class Classes:
@@ -152,16 +156,18 @@ def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFra
 
 
 def _node_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
-    """``(node, tokens)`` of the wanted nodes, from the text of one document each; wanted: (node, doc_id)."""
+    """``(node, tokens, sketch)`` of the wanted nodes, from the text of one document each; wanted: (node, doc_id)."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, texts in text_slices(batch):
                 grams, offsets, _ = shingle_sets(texts, k)
-                yield pa.RecordBatch.from_arrays([pa.array(_node(grams, offsets).view(np.int64)), _lists(grams, offsets)], names=["node", "tokens"])
+                cell = np.repeat(np.arange(len(texts)), np.diff(offsets)) * SKETCH + (_mix(grams + np.uint64(0xB17)) % np.uint64(SKETCH)).astype(np.int64)
+                odd = np.packbits((np.bincount(cell, minlength=len(texts) * SKETCH) & 1).astype(np.uint8)).view(np.uint64)
+                yield pa.RecordBatch.from_arrays([pa.array(_node(grams, offsets).view(np.int64)), _lists(grams, offsets), _lists(odd, np.arange(len(texts) + 1) * (SKETCH // 64))], names=["node", "tokens", "sketch"])
 
     texts = docs.select(F.col("doc_id").cast("long"), "text").alias("d").join(wanted.select("doc_id").distinct().alias("w"), F.col("d.doc_id").eqNullSafe(F.col("w.doc_id")), "left_semi")
-    return texts.mapInArrow(read, "node long, tokens array<long>").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
+    return texts.mapInArrow(read, "node long, tokens array<long>, sketch array<long>").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
 def _facts(rows: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -199,8 +205,13 @@ def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE
         counted = pairs.groupBy("a", "b", "c").agg(F.count("*").alias("n"))
         near = counted.join(x, F.col("a") == F.col("x.node")).join(y, F.col("b") == F.col("y.node"))
         alike = F.least("x.n_shingles", "y.n_shingles") * 100 >= F.greatest("x.n_shingles", "y.n_shingles") * percent
-        near = saved(near.where(alike & (F.col("n") * leniency >= _must_agree(percent))).select("a", "b").distinct())
-        s, t = sets.alias("s"), sets.alias("t")
+        most = F.floor((F.col("x.n_shingles") + F.col("y.n_shingles")) * (100 - percent) / (100 + percent))
+        near = saved(near.where(alike & (F.col("n") * leniency >= _must_agree(percent))).select("a", "b", most.alias("most")).distinct())
+        sketch = sets.select("node", "sketch")
+        s, t = sketch.alias("s"), sketch.alias("t")
+        apart = F.aggregate(F.zip_with("s.sketch", "t.sketch", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda u, v: u + v)
+        near = saved(near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node")).where(apart <= F.col("most")).select("a", "b"))
+        s, t = sets.select("node", "tokens").alias("s"), sets.select("node", "tokens").alias("t")
         both = near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node"))
         common = F.size(F.array_intersect("s.tokens", "t.tokens"))
         union = F.size("s.tokens") + F.size("t.tokens") - common
