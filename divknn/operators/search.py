@@ -36,13 +36,14 @@ def query_budgets(index: Index, qids: np.ndarray, y: np.ndarray, k: int, tighten
     top = lowest_totals(sums, which, qids, y, k, exclude_self)
     q = which.queries(y)
     place = {int(v): i for i, v in enumerate(qids)}
-    out = {"r": np.full((len(qids), index.m), np.inf), "pivot": np.full(len(qids), -1), "total": np.full(len(qids), np.inf), "kappa": np.zeros(len(qids)), "sq": np.zeros(len(qids))}
+    out = {"r": np.full((len(qids), index.m), np.inf), "pivot": np.full(len(qids), -1), "total": np.full(len(qids), np.inf), "kappa": np.zeros(len(qids)), "sq": np.zeros(len(qids)), "roots": np.zeros((len(qids), index.m))}
     # The last of the k rows; a query with fewer points than k keeps everything.
     for r in top.where(F.col("rank") == k).collect():
         i = place[r["qid"]]
         phi, sq = np.array(r["phi"])[None, :], np.array(r["sq"])[None, :]
         out["r"][i] = which.bounds(phi, sq, tuple(v[i : i + 1] for v in q))[0, 0]
         out["pivot"][i], out["total"][i], out["sq"][i] = r["id"], r["total"], sq.sum()
+        out["roots"][i] = np.sqrt(sq[0] * q[2][i])
         out["kappa"][i] = phi.sum() + (q[0][i] + q[1][i]).sum()
     if tighten:
         seeds = top.select("qid", "id").join(index.points.select("id", "vec"), "id")
