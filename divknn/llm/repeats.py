@@ -217,18 +217,19 @@ def repeated_spans(docs: DataFrame, kind, index, hot: int = HOT) -> DataFrame:
     shards = max(1, -(-total // kind.shard_symbols))
     asked = first.join(burning, "anchor", "left").withColumn("hot", F.coalesce("burns", F.lit(False))) if any_hot else first.withColumn("hot", F.lit(False))
     asked = asked.groupBy("doc", "key").agg(F.collect_list(F.struct("anchor", "content", "start", "size", "hot")).alias("asked"))
-    fetched = ranked.join(asked, ["doc", "key"]).select("doc", "text", "asked").mapInArrow(_fetch(kind), _FETCHED)
+    # Each part is written as it is done, so that the shuffles of one step are gone in the next.
+    fetched = saved(ranked.join(asked, ["doc", "key"]).select("doc", "text", "asked").mapInArrow(_fetch(kind), _FETCHED))
     dealt = fetched.where("not hot").withColumn("shard", F.pmod(F.xxhash64("anchor"), F.lit(shards)))
     runs = dealt.groupBy("shard").applyInArrow(_resolver(kind, index), _RUNS)
     if any_hot:
         runs = runs.unionByName(_single_windows(fetched, kind))
-    seen = live.join(runs, ["anchor", "content"]).select("doc", "key", "start", F.explode("runs").alias("r"))
+    seen = live.join(saved(runs), ["anchor", "content"]).select("doc", "key", "start", F.explode("runs").alias("r"))
     earlier = F.col("r.doc") < F.col("doc")
     if kind.within:
         earlier = earlier | ((F.col("r.doc") == F.col("doc")) & (F.col("r.base") < F.col("start")))
     span = F.struct((F.col("start") + F.col("r.from")).alias("from"), (F.col("start") + F.col("r.to") + kind.window - 1).alias("to"))
     spans = seen.where(earlier).groupBy("doc", "key").agg(F.collect_set(span).alias("spans"))
-    return ranked.join(spans, ["doc", "key"], "left")
+    return ranked.join(saved(spans), ["doc", "key"], "left")
 
 
 def covered(spans, n: int) -> np.ndarray:

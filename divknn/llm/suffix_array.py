@@ -48,7 +48,7 @@ def sort_directly(text: np.ndarray, which: np.ndarray, depth: int) -> np.ndarray
     sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(Bytes._table[text] * up[: len(text)], dtype=np.uint64)))
     end = np.minimum(which + depth, len(text))
     print_ = (sums[end] - sums[which]) * down[which] + (end - which).astype(np.uint64)  # of what is compared
-    order = np.argsort(held[which], kind="stable")
+    order = np.argsort(held[which])
     key = held[which[order]]
     group = np.concatenate(([0], np.cumsum(key[1:] != key[:-1])))
     for at in range(8, depth, 8):
