@@ -35,45 +35,56 @@ def allowed(n: int) -> int:
     return n // 5
 
 
-def _walk(words: np.ndarray, rep: int, picks: np.ndarray) -> np.ndarray:
-    """Keys of sequences: the embedding's symbols at the sampled steps, hashed. words: (rows, n) hashes."""
+def _walk(words: np.ndarray) -> np.ndarray:
+    """(repetitions, rows) keys of sequences: the embedding's symbols at the sampled steps, hashed. words: (rows, n) hashes.
+
+    The walks of all repetitions go side by side.
+    """
     rows, n = words.shape
-    held = np.concatenate((words, np.zeros((rows, 1), np.uint64)), axis=1)
-    at = np.zeros(rows, np.int64)
-    every, key = np.arange(rows), np.zeros(rows, np.uint64)
-    picked = set(picks.tolist())
+    picks = np.random.default_rng(n).integers(0, 3 * n, (REPETITIONS, SAMPLES))
+    held = np.concatenate((words, np.zeros((rows, 1), np.uint64)), axis=1).ravel()
+    start = np.arange(rows) * (n + 1)
+    at = np.tile(start, (REPETITIONS, 1))
+    last, key = start + n, np.zeros((REPETITIONS, rows), np.uint64)
+    salt = np.arange(REPETITIONS, dtype=np.uint64)[:, None] * np.uint64(1_000_003)
     for step in range(int(picks.max()) + 1):
-        symbol = held[every, at]
-        mixed = _mix(symbol + np.uint64((rep * 1_000_003 + step) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
-        if step in picked:
-            key = _mix(key + mixed)
-        at = np.minimum(at + (mixed & np.uint64(1)).astype(np.int64), n)
+        mixed = _mix(held[at] + (salt + np.uint64(step)) * np.uint64(0x9E3779B97F4A7C15))
+        for rep, _ in np.argwhere(picks == step):
+            key[rep] = _mix(key[rep] + mixed[rep])
+        at = np.minimum(at + (mixed & np.uint64(1)).astype(np.int64), last)
     return key
 
 
-def _picks(n: int, rep: int) -> np.ndarray:
-    return np.random.default_rng((n, rep)).integers(0, 3 * n, SAMPLES)
+def _distances(item: list[int], text: list[int], anchored: bool) -> Iterator[int]:
+    """Edits between ``item`` and the best stretch that ends at each word of ``text`` (or all of text so far, if anchored).
+
+    The columns of the alignment table are bit vectors of their steps up and down.
+    """
+    n = len(item)
+    full, top, where = (1 << n) - 1, 1 << (n - 1), defaultdict(int)
+    for i, w in enumerate(item):
+        where[w] |= 1 << i
+    up, down, score = full, 0, n
+    for w in text:
+        same = where.get(w, 0)
+        x = same | down
+        h = (((same & up) + up) ^ up) | same
+        right, left = down | (full & ~(h | up)), up & h
+        score += bool(right & top) - bool(left & top)
+        right, left = (right << 1 | anchored) & full, left << 1 & full
+        up, down = left | (full & ~(x | right)), right & x
+        yield score
 
 
 def edit_place(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
     """(fewest edits between ``item`` and a stretch of ``text``, where it begins, where it ends)."""
-    n, m = len(item), len(text)
-    cost, begin = np.arange(n + 1), np.zeros(n + 1, np.int64)
-    best = (n, 0, 0)
-    for j in range(1, m + 1):
-        nxt, came = np.empty(n + 1, np.int64), np.empty(n + 1, np.int64)
-        nxt[0], came[0] = 0, j
-        swap = cost[:-1] + (item != text[j - 1])
-        drop = cost[1:] + 1
-        nxt[1:] = np.minimum(swap, drop)
-        came[1:] = np.where(swap <= drop, begin[:-1], begin[1:])
-        slide = nxt - np.arange(n + 1)  # a run of words missing from the text
-        low = np.minimum.accumulate(slide)
-        source = np.maximum.accumulate(np.where(slide == low, np.arange(n + 1), 0))
-        cost, begin = low + np.arange(n + 1), came[source]
-        if cost[n] < best[0]:
-            best = (int(cost[n]), int(begin[n]), j)
-    return best
+    own, words = item.tolist(), text.tolist()
+    best, end = len(own), 0
+    for j, d in enumerate(_distances(own, words, False), 1):
+        if d < best:
+            best, end = d, j
+    back = _distances(own[::-1], words[:end][::-1], True)
+    return best, end - next((t for t, d in enumerate(back, 1) if d == best), 0), end
 
 
 class ItemIndex:
@@ -83,6 +94,7 @@ class ItemIndex:
         self.words = [h[a:b] for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
         seeds: dict[int, dict[int, list[tuple[int, int]]]] = defaultdict(lambda: defaultdict(list))
         self.keys: dict[int, list[dict[int, list[int]]]] = {}
+        alike: dict[int, list[int]] = {}
         for i, w in enumerate(self.words):
             n = len(w)
             if not n:
@@ -92,9 +104,12 @@ class ItemIndex:
             for p in range(parts):
                 o = p * n // parts
                 seeds[gram][int(gram_hashes(w[o : o + gram], gram)[0])].append((i, o))
-            table_ = self.keys.setdefault(n, [defaultdict(list) for _ in range(REPETITIONS)])
-            for rep in range(REPETITIONS):
-                table_[rep][int(_walk(w[None, :], rep, _picks(n, rep))[0])].append(i)
+            self.keys.setdefault(n, [defaultdict(list) for _ in range(REPETITIONS)])
+            alike.setdefault(n, []).append(i)
+        for n, own in alike.items():
+            for rep, keys in enumerate(_walk(np.stack([self.words[i] for i in own])).tolist()):
+                for i, key in zip(own, keys, strict=True):
+                    self.keys[n][rep][key].append(i)
         self.seeds = {g: (HashSet(np.array(list(s), np.uint64)), dict(s)) for g, s in seeds.items()}
         self.keys = {n: [dict(x) for x in v] for n, v in self.keys.items()}
 
@@ -125,8 +140,7 @@ class ItemIndex:
                 s, b, e, o = (x[lo : lo + 20_000] for x in (place, begin, end, owner))
                 at = s[:, None] + np.arange(n)
                 words = np.where((at >= b[:, None]) & (at < e[:, None]), h[np.clip(at, 0, len(h) - 1)], np.uint64(0))
-                for rep, index in enumerate(self.keys[n]):
-                    keys = _walk(words, rep, _picks(n, rep))
+                for index, keys in zip(self.keys[n], _walk(words), strict=True):
                     for j in np.flatnonzero(np.isin(keys, np.fromiter(index, np.uint64, len(index)))):
                         for i in index[int(keys[j])]:
                             near[int(o[j]), i].append(int(s[j]))
@@ -135,6 +149,8 @@ class ItemIndex:
             n = len(self.words[i])
             k, at = allowed(n), -1
             for s in sorted(set(places)):
+                if s + k < at:  # inside what is found
+                    continue
                 lo, hi = max(int(offsets[text]), s - k), min(int(offsets[text + 1]), s + n + k)
                 edits, a, b = edit_place(self.words[i], h[lo:hi])
                 if edits <= k and lo + a >= at:
