@@ -11,12 +11,15 @@ Sizes are in classes; a set that may have a partner in the class below is also c
 Empty parts are no keys (they would be shared by strangers); sets that have one also carry the classic
 prefix of one order, so that pairs which agree in empty parts alone still meet.
 
-Sets that are equal form one node. Where many nodes share a key they are compared with one pivot of it
-first; keys whose nodes are by then in one component are settled, the others count for each pair left
-under how many orders it agrees. Pairs that agree enough are held against parity sketches - bit b says
-whether the set has an odd number of tokens of hash b - which differ in d bits at most for linked sets. So
-groups of copies cost a number of comparisons in proportion to their size, and whole sets meet only for
-pairs that passed the filters.
+Sets that are equal form one node. Pairs that share a key are counted by the orders under which they
+agree; those that agree enough are held against parity sketches - bit b says whether the set has an odd
+number of tokens of hash b - which differ in d bits at most for linked sets; whole sets meet last.
+
+Where many nodes share a key, each is compared with one hub alone. What sets it apart from its hub is a
+small set of tokens, and two nodes of a hub that are not both linked to it can only be linked if they
+share about half of those. So the nodes of a hub are joined anew by prefixes of these differences, the
+tokens that the hub lacks first; a group of copies costs comparisons in proportion to its size, and no
+link is lost. Hubs of differences are formed ``DEPTH`` times.
 
 Shingles are 64-bit hashes of word hashes. Null or empty texts have an empty set and link with nothing.
 A null ``doc_id`` counts as no candidate for the smallest id. Repeated rows are one node. Other columns
@@ -38,8 +41,8 @@ from .components import connected
 SHINGLE, PERCENT = 3, 90
 CLASS_RATIO = 1.5
 _SIGNED = "doc_id long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
-#: Keys with more nodes are first compared with a pivot; all pairs are left for when they are few for each row.
-MANY, PAIRS_A_ROW = 8, 8
+#: Keys with more nodes are compared by way of a hub; how often hubs are formed anew.
+MANY, DEPTH = 8, 3
 #: Bits of a set's parity sketch.
 SKETCH = 4096
 
@@ -186,6 +189,85 @@ def _must_agree(percent: int) -> Column:
     return F.when(F.col("c") < 0, F.lit(1)).otherwise(F.greatest(k - d - F.least(empty("x"), empty("y")), F.lit(1)))
 
 
+def _verified(pairs: DataFrame, facts: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The linked ones of (a, b, c) pairs, which come once for each key that both have."""
+    x, y = facts.alias("x"), facts.alias("y")
+    counted = pairs.groupBy("a", "b", "c").agg(F.count("*").alias("n"))
+    near = counted.join(x, F.col("a") == F.col("x.node")).join(y, F.col("b") == F.col("y.node"))
+    alike = F.least("x.n_shingles", "y.n_shingles") * 100 >= F.greatest("x.n_shingles", "y.n_shingles") * percent
+    most = F.floor((F.col("x.n_shingles") + F.col("y.n_shingles")) * (100 - percent) / (100 + percent))
+    near = saved(near.where(alike & (F.col("n") >= _must_agree(percent))).select("a", "b", most.alias("most")).distinct())
+    s, t = sets.select("node", "sketch").alias("s"), sets.select("node", "sketch").alias("t")
+    apart = F.aggregate(F.zip_with("s.sketch", "t.sketch", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda u, v: u + v)
+    near = saved(near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node")).where(apart <= F.col("most")).select("a", "b"))
+    s, t = sets.select("node", "tokens").alias("s"), sets.select("node", "tokens").alias("t")
+    both = near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node"))
+    common = F.size(F.array_intersect("s.tokens", "t.tokens"))
+    union = F.size("s.tokens") + F.size("t.tokens") - common
+    return saved(both.where(100 * common >= percent * union).select("a", "b"))
+
+
+def _hubs(keys: DataFrame) -> DataFrame | None:
+    """(node, hub) for nodes of keys with many: of the keys' heaviest nodes the heaviest; a node weighs what its keys hold."""
+    sizes = saved(keys.groupBy("key").agg(F.count_distinct("node").alias("n")))
+    if not sizes.where(F.col("n") > MANY).limit(1).count():
+        return None
+    weight = saved(keys.select("key", "node").distinct().join(sizes, "key").groupBy("node").agg(F.sum("n").alias("w")))
+    big = keys.select("key", "node").join(saved(sizes.where(F.col("n") > MANY).select("key")), "key")
+    pivot = saved(big.join(weight, "node").groupBy("key").agg(F.max(F.struct("w", "node")).alias("p")))
+    found = big.join(pivot, "key").groupBy("node").agg(F.max("p").alias("p")).select("node", F.col("p.node").alias("hub"))
+    return saved(found.where("node <> hub"))
+
+
+def _differences(hub_of: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(node, hub, n, linked, delta): tokens that node or hub alone has, those that the hub lacks first."""
+    s, t = sets.select("node", "tokens").alias("s"), sets.select(F.col("node").alias("hub"), F.col("tokens").alias("hub_tokens")).alias("t")
+    both = hub_of.join(s, "node").join(t, "hub")
+    both = both.withColumn("added", F.array_sort(F.array_except("tokens", "hub_tokens"))).withColumn("gone", F.array_sort(F.array_except("hub_tokens", "tokens")))
+    union = F.size("hub_tokens") + F.size("added")
+    return saved(both.select("node", "hub", F.size("tokens").alias("n"), (100 * (union - F.size("added") - F.size("gone")) >= percent * union).alias("linked"), F.concat("added", "gone").alias("delta")))
+
+
+def _difference_keys(deltas: DataFrame, percent: int) -> DataFrame:
+    """(key, node, c, role): nodes of one hub that can be linked share a key.
+
+    Let y not be linked to the hub. A partner x shares with y at least about half of its own difference,
+    so a prefix of the other half and one is enough; y shares all of its difference but d tokens at least
+    with partners that are linked to the hub, so a prefix of d + 1 is.
+    """
+    size, ratio = F.size("delta"), (100 + percent) // (100 - percent)
+    half = size - F.ceil((size + 1 - F.ceil(size / ratio)) / 2) + 1
+    most = F.floor((F.col("n") + F.floor(F.col("n") * 100 / percent)) * (100 - percent) / (100 + percent))
+    long = size - F.greatest(F.lit(1), size - most) + 1
+    row = lambda kind, n: F.transform(F.slice("delta", 1, n.cast("int")), lambda v: F.struct(F.xxhash64("hub", v, F.lit(kind)).alias("key"), F.lit(kind).alias("role")))
+    # Unlinked pairs meet in kind 0; an unlinked node (2) and a linked one (1) in keys of kind 1.
+    mixed = F.transform(F.slice("delta", 1, F.when(F.col("linked"), half).otherwise(long).cast("int")), lambda v: F.struct(F.xxhash64("hub", v, F.lit(1)).alias("key"), F.when(F.col("linked"), 1).otherwise(2).alias("role")))
+    keys = F.when(F.col("linked"), mixed).otherwise(F.concat(row(0, half), mixed))
+    return deltas.where(size > 0).select("node", F.explode(keys).alias("k")).select("k.key", "node", F.lit(-1).alias("c"), "k.role")
+
+
+def _links(keys: DataFrame, facts: DataFrame, sets: DataFrame, percent: int, depth: int = 0) -> DataFrame:
+    """Linked pairs (a, b) among nodes that share a key; keys: (key, node, c[, role])."""
+    keys = keys if "role" in keys.columns else keys.withColumn("role", F.lit(0))
+    if depth:
+        shared = saved(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))
+        keys = saved(keys.join(shared, "key"))
+    hub_of = _hubs(keys) if depth < DEPTH else None
+    if hub_of is not None:  # a hub serves those that are mostly like it
+        deltas = _differences(hub_of, sets, percent)
+        hub_of = deltas.where(2 * F.size("delta") <= F.col("n")).select("node", "hub")
+    named = keys.join(hub_of, "node", "left") if hub_of is not None else keys.withColumn("hub", F.lit(None).cast("long"))
+    x, y = named.alias("x"), named.alias("y")
+    meet = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.role") + F.col("y.role")).isin(0, 3)
+    apart = ~F.coalesce(F.col("x.hub") == F.col("y.hub"), F.lit(False)) & ~F.coalesce(F.col("x.hub") == F.col("y.node"), F.lit(False)) & ~F.coalesce(F.col("y.hub") == F.col("x.node"), F.lit(False))
+    found = _verified(x.join(y, meet & apart).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"), F.col("x.c").alias("c")), facts, sets, percent)
+    if hub_of is None:
+        return found
+    deltas = deltas.where(2 * F.size("delta") <= F.col("n"))
+    found = found.unionByName(deltas.where("linked").select(F.col("node").alias("a"), F.col("hub").alias("b")))
+    return found.unionByName(_links(_difference_keys(deltas, percent), facts, sets, percent, depth + 1))
+
+
 def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFrame:
     """``(doc_id, n_shingles, component_id)`` per row of ``docs``."""
     rows = saved(signed(docs, percent, k))
@@ -199,45 +281,8 @@ def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE
     sets = saved(_node_sets(docs, wanted, k))
     facts = saved(_facts(rows, wanted))
 
-    def verified(pairs: DataFrame, leniency: int) -> DataFrame:
-        """pairs: (a, b, c), one row for each key that both have. ``leniency`` divides what is asked: 1 where all keys were counted."""
-        x, y = facts.alias("x"), facts.alias("y")
-        counted = pairs.groupBy("a", "b", "c").agg(F.count("*").alias("n"))
-        near = counted.join(x, F.col("a") == F.col("x.node")).join(y, F.col("b") == F.col("y.node"))
-        alike = F.least("x.n_shingles", "y.n_shingles") * 100 >= F.greatest("x.n_shingles", "y.n_shingles") * percent
-        most = F.floor((F.col("x.n_shingles") + F.col("y.n_shingles")) * (100 - percent) / (100 + percent))
-        near = saved(near.where(alike & (F.col("n") * leniency >= _must_agree(percent))).select("a", "b", most.alias("most")).distinct())
-        sketch = sets.select("node", "sketch")
-        s, t = sketch.alias("s"), sketch.alias("t")
-        apart = F.aggregate(F.zip_with("s.sketch", "t.sketch", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda u, v: u + v)
-        near = saved(near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node")).where(apart <= F.col("most")).select("a", "b"))
-        s, t = sets.select("node", "tokens").alias("s"), sets.select("node", "tokens").alias("t")
-        both = near.join(s, F.col("a") == F.col("s.node")).join(t, F.col("b") == F.col("t.node"))
-        common = F.size(F.array_intersect("s.tokens", "t.tokens"))
-        union = F.size("s.tokens") + F.size("t.tokens") - common
-        return saved(both.where(100 * common >= percent * union).select("a", "b"))
-
-    edges, labels, last = None, met.select("node").distinct().withColumn("comp", F.col("node")), False
-    for turn in range(4):
-        open_ = met.join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-        sums = open_.groupBy("key", "comp").agg(F.count("*").alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("same"), F.count("*").alias("comps")).where("comps > 1")
-        sums = saved(sums.select("key", "n", ((F.col("n") * F.col("n") - F.col("same")) / 2).alias("pairs")))
-        left = sums.agg(F.sum("pairs").alias("pairs"), F.sum("n").alias("rows"), F.max("n").alias("most")).first()
-        if not left["rows"]:
-            break
-        if last := turn == 3 or left["most"] <= MANY or (turn > 0 and left["pairs"] <= PAIRS_A_ROW * left["rows"]):
-            live = open_.join(sums.select("key"), "key")
-            x, y = live.alias("x"), live.alias("y")
-            pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.comp") != F.col("y.comp"))).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"), F.col("x.c").alias("c"))
-            found = verified(pairs, 1)
-        else:
-            live = saved(open_.join(sums.where(F.col("n") > MANY).select("key"), "key"))
-            pivot = saved(live.groupBy("key").agg(F.min(F.struct(F.xxhash64("node", F.lit(turn)).alias("h"), F.col("node").alias("node"), F.col("comp").alias("comp"))).alias("p")))
-            found = verified(live.join(pivot, "key").where("comp <> p.comp").select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"), "c"), 3)
-        edges = found if edges is None else edges.unionByName(found)
-        labels = saved(connected(edges))
-        if last:
-            break
+    edges = _links(met, facts, sets, percent)
+    labels = saved(connected(edges))
     least = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
     least = least.join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     named = least.select("node", "comp").join(least.groupBy("comp").agg(F.min("least").alias("component_id")), "comp").select("node", "component_id")

@@ -67,3 +67,21 @@ def test_chains_small_sets_and_awkward(spark):
 def test_one_of_each_group_stays(spark):
     out = jaccard_join.one_per_group(docs(spark, [(3, "a b c d"), (1, "A b  c d"), (2, "x y z"), (2, "x y z"), (9, None)]))
     assert sorted(r[0] for r in out.collect()) == [1, 2, 9]
+
+
+def test_large_groups_of_near_copies(spark):
+    rng = np.random.default_rng(8)
+    rows = []
+    for base in range(3):
+        words = [f"w{x}" for x in rng.integers(0, 3000, 150)]
+        family = [words]
+        for j in range(150):
+            own = list(family[int(rng.integers(len(family)))] if rng.random() < 0.3 else words)
+            for _ in range(int(rng.integers(0, 9))):
+                own[int(rng.integers(len(own)))] = f"z{rng.integers(40)}" if rng.random() < 0.5 else f"y{rng.integers(10**9)}"
+            if rng.random() < 0.2:
+                own = own + [f"t{x}" for x in range(int(rng.integers(20)))]
+            family.append(own)
+        rows += [(base * 1000 + j, " ".join(w)) for j, w in enumerate(family)]
+    rng.shuffle(rows)
+    check(docs(spark, [(int(k), t) for k, t in rows]))
