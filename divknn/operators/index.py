@@ -120,7 +120,7 @@ def build_index(
 ) -> Index:
     """Choose the blocks, summarise every point, grow a tree per block, lay the points out and write it all."""
     spark, path = points.sparkSession, path or shared_dir(points.sparkSession)
-    points = gen.prepared(points)
+    points = saved(gen.prepared(points).select("id", "vec"), f"{path}/input")  # several passes follow
     stats = points.agg(F.count("*").alias("n"), F.min(F.size("vec")).alias("d"), F.max(F.size("vec")).alias("most"), F.sum(F.when(F.col("vec").isNull() | F.exists("vec", lambda v: v.isNull() | F.isnan(v)), 1).otherwise(0)).alias("bad")).first()
     n, d = stats["n"], stats["d"] or 0
     if stats["bad"] or d != (stats["most"] or 0):
