@@ -94,7 +94,7 @@ def append_stream(holder: dict, points: DataFrame, checkpoint: str):
 def event_vectors(events: DataFrame, window: str = "1 day", lateness: str = "2 hours") -> DataFrame:
     """(user_id, window, vec): sums of value by event type in tumbling windows; late rows are dropped, repeats of an event ignored."""
     kinds = ["click", "view", "purchase", "login", "search"]
-    once = events.withWatermark("ts", lateness).dropDuplicatesWithinWatermark(["event_id"])
+    once = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness).dropDuplicatesWithinWatermark(["event_id"])
     sums = [F.sum(F.when(F.col("event_type") == t, F.col("value")).otherwise(0.0)).alias(t) for t in kinds]
     rest = F.sum(F.when(~F.col("event_type").isin(kinds), F.col("value")).otherwise(0.0)).alias("rest")
     return once.groupBy("user_id", F.window("ts", window)).agg(*sums, rest).select("user_id", "window", F.array(*kinds, "rest").alias("vec"))
@@ -102,7 +102,7 @@ def event_vectors(events: DataFrame, window: str = "1 day", lateness: str = "2 h
 
 def session_counts(events: DataFrame, gap: str = "30 minutes", lateness: str = "2 hours") -> DataFrame:
     """(user_id, session, n): events by session window."""
-    return events.withWatermark("ts", lateness).groupBy("user_id", F.session_window("ts", gap).alias("session")).agg(F.count("*").alias("n"))
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", lateness).groupBy("user_id", F.session_window("ts", gap).alias("session")).agg(F.count("*").alias("n"))
 
 
 def running_top(points: DataFrame, queries: DataFrame, gen: Generator, k: int) -> DataFrame:
