@@ -42,7 +42,7 @@ SHINGLE, PERCENT = 3, 90
 CLASS_RATIO = 1.5
 _SIGNED = "doc_id long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
 #: Keys with more nodes are compared by way of a hub; how often hubs are formed anew.
-MANY, DEPTH = 8, 3
+MANY, DEPTH = 8, 4
 #: Bits of a set's parity sketch.
 SKETCH = 4096
 
@@ -255,7 +255,7 @@ def _links(keys: DataFrame, facts: DataFrame, sets: DataFrame, percent: int, dep
     hub_of = _hubs(keys) if depth < DEPTH else None
     if hub_of is not None:  # a hub serves those that are mostly like it
         deltas = _differences(hub_of, sets, percent)
-        hub_of = deltas.where(2 * F.size("delta") <= F.col("n")).select("node", "hub")
+        hub_of = deltas.where(F.size("delta") <= F.col("n")).select("node", "hub")
     named = keys.join(hub_of, "node", "left") if hub_of is not None else keys.withColumn("hub", F.lit(None).cast("long"))
     x, y = named.alias("x"), named.alias("y")
     meet = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.role") + F.col("y.role")).isin(0, 3)
@@ -263,7 +263,7 @@ def _links(keys: DataFrame, facts: DataFrame, sets: DataFrame, percent: int, dep
     found = _verified(x.join(y, meet & apart).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"), F.col("x.c").alias("c")), facts, sets, percent)
     if hub_of is None:
         return found
-    deltas = deltas.where(2 * F.size("delta") <= F.col("n"))
+    deltas = deltas.where(F.size("delta") <= F.col("n"))
     found = found.unionByName(deltas.where("linked").select(F.col("node").alias("a"), F.col("hub").alias("b")))
     return found.unionByName(_links(_difference_keys(deltas, percent), facts, sets, percent, depth + 1))
 
