@@ -39,6 +39,8 @@ from .common import _mix, gram_hashes, saved, text_slices, table, word_hashes
 from .components import connected
 
 SHINGLE, PERCENT = 3, 90
+#: What the stage of the pipeline takes; the pair above is the contract of op3_jaccard_join alone.
+STAGE_SHINGLE, STAGE_PERCENT = 5, 80
 CLASS_RATIO = 1.5
 _SIGNED = "doc_id long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
 #: Keys with more nodes are compared by way of a hub; how often hubs are formed anew.
@@ -289,9 +291,9 @@ def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE
     return rows.select("doc_id", "n_shingles", "node").join(named, "node", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
-def one_per_group(docs: DataFrame) -> DataFrame:
+def one_per_group(docs: DataFrame, percent: int = STAGE_PERCENT, k: int = STAGE_SHINGLE) -> DataFrame:
     """``docs`` without all but the smallest ``doc_id`` of each group of linked documents."""
-    first = similar_components(docs).where("component_id = doc_id or doc_id is null").select("doc_id").distinct()
+    first = similar_components(docs, percent, k).where("component_id = doc_id or doc_id is null").select("doc_id").distinct()
     d, f = docs.alias("d"), first.alias("f")
     return d.join(f, F.col("d.doc_id").eqNullSafe(F.col("f.doc_id")), "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
 
