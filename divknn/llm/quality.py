@@ -4,7 +4,10 @@ A rule rejects a document whose score is at or above a cutoff. For each stratum
 cutoff is chosen on the labelled rows: walking from the most lenient cutoff down, each one is accepted
 while an exact binomial test shows, at the level left by a Bonferroni split over strata and rules, that
 the rule rejects at most ``alpha`` of the good documents (fixed-sequence testing: no further correction
-is needed along the walk). Strata with too few labels certify nothing and keep everything.
+is needed along the walk). A stratum with too few good labels for ``alpha`` takes the smallest share that
+its number of good labels can prove instead, which lets the walk go on only while no good one is rejected;
+the number is known before any score is looked at. Where even ``most`` is beyond proof nothing is certified
+and everything is kept. Rows without a language are a stratum of their own.
 
 Statistics cover whole texts. A null text has no words. An empty table gives no rows; without labels
 only the base rule acts; repeated rows are judged one by one; other columns pass unread.
@@ -27,6 +30,8 @@ STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words",
 RULES = ("symbols", "repeats", "dup_lines", "upper", "short")
 BINS = 400
 ALPHA, DELTA, WINDOW = 0.004, 0.05, 8
+#: The loosest share of good documents that a small stratum may be certified for.
+MOST = 0.02
 
 _SYMBOL = np.zeros(256, bool)
 _SYMBOL[list(b"#*$%&|<>")] = True
@@ -131,29 +136,35 @@ def walk(good: np.ndarray, bad: np.ndarray, alpha: float, level: float) -> int |
     return best
 
 
-def certified_cutoffs(rows: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> dict[str, dict[str, int]]:
+def provable(n: int, alpha: float, level: float) -> float:
+    """``alpha``, or the smallest share that ``n`` good labels can prove at ``level`` if that is larger."""
+    return max(alpha, -math.expm1(math.log(level) / n) * (1 + 1e-9)) if n else 1.0
+
+
+def certified_cutoffs(rows: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA, most: float = MOST) -> dict[str | None, dict[str, int]]:
     """{stratum: {rule: cutoff}} from the labelled rows; only counts by stratum, rule and bin reach the driver."""
     marks = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
-    held = rows.where("not base_failed and lang is not null").join(marks, "doc_id")
+    held = rows.where("not base_failed").join(marks, "doc_id")
     long = held.select("lang", "quality", F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.col(f"s_{r}").alias("bin")) for r in RULES])).alias("x"))
     counts = long.groupBy("lang", "x.rule", "x.bin").agg(F.sum(F.when(F.col("quality") == 1, 1).otherwise(0)).alias("good"), F.sum(F.when(F.col("quality") == 0, 1).otherwise(0)).alias("bad")).collect()
-    hist: dict[tuple[str, str], np.ndarray] = {}
+    hist: dict[tuple[str | None, str], np.ndarray] = {}
     for lang, rule, at, good, bad in counts:
         hist.setdefault((lang, rule), np.zeros((2, BINS + 1), np.int64))[:, at] += (good, bad)
     level = delta / max(1, len(hist))
-    out: dict[str, dict[str, int]] = {}
-    for (lang, rule), (good, bad) in sorted(hist.items()):
-        if (t := walk(good, bad, alpha, level)) is not None:
+    out: dict[str | None, dict[str, int]] = {}
+    for (lang, rule), (good, bad) in hist.items():
+        share = provable(int(good.sum()), alpha, level)
+        if share <= max(alpha, most) and (t := walk(good, bad, share, level)) is not None:
             out.setdefault(lang, {})[rule] = t
     return out
 
 
-def verdict(cutoffs: dict[str, dict[str, int]]):
+def verdict(cutoffs: dict[str | None, dict[str, int]]):
     """Column: true unless the base rule or a certified one rejects."""
     failed = F.col("base_failed")
     for lang, rules in cutoffs.items():
         for rule, t in rules.items():
-            failed = failed | ((F.coalesce("lang", F.lit("")) == lang) & (F.col(f"s_{rule}") >= t))
+            failed = failed | (F.col("lang").eqNullSafe(F.lit(lang).cast("string")) & (F.col(f"s_{rule}") >= t))
     return ~failed
 
 
