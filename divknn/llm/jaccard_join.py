@@ -42,7 +42,7 @@ SHINGLE, PERCENT = 3, 90
 #: What the stage of the pipeline takes; the pair above is the contract of op3_jaccard_join alone.
 STAGE_SHINGLE, STAGE_PERCENT = 5, 80
 CLASS_RATIO = 1.5
-_SIGNED = "doc_id long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
+_SIGNED = "doc_id long, row long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
 #: Keys with more nodes are compared by way of a hub; how often hubs are formed anew.
 MANY, DEPTH = 8, 4
 #: Bits of a set's parity sketch.
@@ -132,6 +132,11 @@ def _node(grams: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return _mix(total[offsets[1:]] - total[offsets[:-1]] + np.diff(offsets).astype(np.uint64))
 
 
+def _row() -> Column:
+    """A hash of id and text: equal for repeated rows only."""
+    return F.xxhash64(F.col("doc_id").cast("long"), "text")
+
+
 def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFrame:
     classes = Classes(percent)
 
@@ -154,10 +159,10 @@ def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFra
                     s, e = offsets[i], offsets[i + 1]
                     rest_n[i] = n[i] - (n[i] * percent + 99) // 100 + 1
                     rest.append(_mix(grams[s:e][np.lexsort((grams[s:e], -long[s:e]))[: rest_n[i]]] + np.uint64(0xFEED)))
-                cols = [ids[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(np.concatenate(rest), np.concatenate(([0], np.cumsum(rest_n))))]
+                cols = [ids[a:b], batch.column("row")[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(np.concatenate(rest), np.concatenate(([0], np.cumsum(rest_n))))]
                 yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in _SIGNED.split(", ")])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(sign, _SIGNED)
+    return docs.select(F.col("doc_id").cast("long"), "text", _row().alias("row")).mapInArrow(sign, _SIGNED)
 
 
 def _node_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -270,8 +275,8 @@ def _links(keys: DataFrame, facts: DataFrame, sets: DataFrame, percent: int, dep
     return found.unionByName(_links(_difference_keys(deltas, percent), facts, sets, percent, depth + 1))
 
 
-def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFrame:
-    """``(doc_id, n_shingles, component_id)`` per row of ``docs``."""
+def _components(docs: DataFrame, percent: int, k: int) -> tuple[DataFrame, DataFrame]:
+    """(signed rows; (node, comp) of the nodes that are linked with others)."""
     rows = saved(signed(docs, percent, k))
     nodes = rows.where("node is not null").select("node", "size_class", "own", "below", "rest").dropDuplicates(["node"])
     key = lambda x, c: F.struct(x.alias("key"), c.alias("c"))
@@ -284,7 +289,12 @@ def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE
     facts = saved(_facts(rows, wanted))
 
     edges = _links(met, facts, sets, percent)
-    labels = saved(connected(edges))
+    return rows, saved(connected(edges))
+
+
+def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFrame:
+    """``(doc_id, n_shingles, component_id)`` per row of ``docs``."""
+    rows, labels = _components(docs, percent, k)
     least = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
     least = least.join(labels, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
     named = least.select("node", "comp").join(least.groupBy("comp").agg(F.min("least").alias("component_id")), "comp").select("node", "component_id")
@@ -292,10 +302,17 @@ def similar_components(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE
 
 
 def one_per_group(docs: DataFrame, percent: int = STAGE_PERCENT, k: int = STAGE_SHINGLE) -> DataFrame:
-    """``docs`` without all but the smallest ``doc_id`` of each group of linked documents."""
-    first = similar_components(docs, percent, k).where("component_id = doc_id or doc_id is null").select("doc_id").distinct()
-    d, f = docs.alias("d"), first.alias("f")
-    return d.join(f, F.col("d.doc_id").eqNullSafe(F.col("f.doc_id")), "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
+    """One row of each group of linked rows: of smallest ``doc_id``, null last, then of smallest hash.
+
+    Rows without a word are linked with nothing and stay; of those with an id, repeated ones are one.
+    """
+    rows, labels = _components(docs, percent, k)
+    best = rows.where("node is not null").groupBy("node").agg(F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row")).alias("best"))
+    best = best.join(labels, "node", "left").groupBy(F.coalesce("comp", "node").alias("comp")).agg(F.min("best").alias("best"))
+    stay = saved(best.select("best.row").unionByName(rows.where("node is null").select("row").distinct()))
+    apart = F.col("doc_id").isNull() & ~F.coalesce("text", F.lit("")).rlike(r"[^\x20\x09-\x0D]")
+    marked = docs.withColumn("_row", _row()).withColumn("_apart", F.when(apart, F.monotonically_increasing_id()).otherwise(-1))
+    return marked.join(stay.withColumnRenamed("row", "_row"), "_row", "left_semi").dropDuplicates(["_row", "_apart"]).select(docs.columns)
 
 
 def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
