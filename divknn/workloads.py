@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import re
 import time
 from collections.abc import Callable
+from contextvars import ContextVar
 
 import numpy as np
 from divknn import measures
@@ -14,7 +16,7 @@ from divknn.operators.index import Index, build_index
 from divknn.operators.search import blockwise_knn_union, exact_knn, query_budgets, range_search
 from divknn.operators.search import block_range as block_range_
 from divknn.operators.summaries import budgets, ceiling, data_summary, query_summary
-from divknn.operators.vectors import query_blocks, scan_knn, scan_knn_columns
+from divknn.operators.vectors import each_block, query_blocks, scan_knn, scan_knn_columns
 from divknn.plans import costmodel, partition
 from divknn.sources import views
 from pyspark.sql import DataFrame, SparkSession
@@ -35,9 +37,29 @@ def _register(name: str, query: Query, oracle: str | None = None) -> None:
         ORACLES[name] = oracle
 
 
+#: Set while a query of a whole table is built: all points whose id is divisible by 20 ask, not the first few.
+_WHOLE: ContextVar[bool] = ContextVar("whole", default=False)
+
+
 def _queries(points: DataFrame, n: int = 20) -> DataFrame:
-    """The ``n`` points of smallest id."""
-    return points.orderBy("id").limit(n).select(F.col("id").alias("qid"), F.col("vec").alias("yvec"))
+    """The ``n`` points of smallest id; for whole tables every point with an id divisible by 20."""
+    chosen = points.where("id % 20 = 0") if _WHOLE.get() else points.orderBy("id").limit(n)
+    return chosen.select(F.col("id").alias("qid"), F.col("vec").alias("yvec"))
+
+
+def _shown(points: DataFrame) -> DataFrame:
+    return points if _WHOLE.get() else points.where("id < 100")
+
+
+def _whole(query: Query) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        token = _WHOLE.set(True)
+        try:
+            return query(spark, d)
+        finally:
+            _WHOLE.reset(token)
+
+    return run
 
 
 def _rounded(df: DataFrame) -> DataFrame:
@@ -64,7 +86,7 @@ for short, full in _SHORT.items():
 
     def pairs(spark, d, g=g, view=view):
         p = _CATALOGUE[view].load(spark, d)
-        few = p.where("id < 100").crossJoin(F.broadcast(_queries(p)))
+        few = _shown(p).crossJoin(F.broadcast(_queries(p)))
         return few.select("qid", "id", F.round(divergence(g, "vec", "yvec"), 6).alias("divergence"))
 
     _register(f"div_{short}", pairs, f"WITH {_pairs_sql(view, g, 20, 'WHERE p.id < 100')} SELECT qid, id, round(divergence, 6) divergence FROM d")
@@ -77,7 +99,7 @@ _DIAGONAL = G.mahalanobis(_WEIGHTS)
 
 def _div_mahal(spark, d):
     p = _DIAGONAL.prepared(_CATALOGUE["emb64"].load(spark, d))
-    return p.where("id < 100").crossJoin(F.broadcast(_queries(p))).select("qid", "id", F.round(divergence(_DIAGONAL, "vec", "yvec"), 6).alias("divergence"))
+    return _shown(p).crossJoin(F.broadcast(_queries(p))).select("qid", "id", F.round(divergence(_DIAGONAL, "vec", "yvec"), 6).alias("divergence"))
 
 
 _register("div_mahal_diag", _div_mahal, f"WITH {_pairs_sql('emb64', _DIAGONAL, 20, 'WHERE p.id < 100', '{t} * sqrt(1 + (p.i % 7) / 2.0)')} SELECT qid, id, round(divergence, 6) divergence FROM d")
@@ -87,7 +109,7 @@ def _div_mahal_full(spark, d):
     """A full quadratic form: tridiagonal, 2 on the diagonal and a half beside it."""
     q = 2 * np.eye(64) + 0.5 * (np.eye(64, k=1) + np.eye(64, k=-1))
     g = G.squared_euclidean()
-    p = G.whiten(_CATALOGUE["emb64"].load(spark, d).where("id < 100"), q)
+    p = G.whiten(_shown(_CATALOGUE["emb64"].load(spark, d)), q)
     return p.crossJoin(F.broadcast(_queries(p))).select("qid", "id", F.round(divergence(g, "vec", "yvec"), 6).alias("divergence"))
 
 
@@ -274,9 +296,7 @@ _register("overall_ratio_p1", _ratio_one, "SELECT vec_id qid, 1.0::DOUBLE ratio,
 
 def _shares(spark, d):
     index, q = _index(spark, d, "emb64", 8, strategy="contiguous")
-    qids, y = next(query_blocks(q, 64))
-    r = query_budgets(index, qids, y, K)["r"]
-    return measures.candidate_share(index, qids, y, r, "point").select("qid", "n_candidates", F.round("share", 6).alias("share"))
+    return each_block(q, 64, lambda qids, y: measures.candidate_share(index, qids, y, query_budgets(index, qids, y, K)["r"], "point")).select("qid", "n_candidates", F.round("share", 6).alias("share"))
 
 
 _SHARE_SQL = f"""WITH {_SUMS_SQL}, kb AS (SELECT k.qid, c.b, c.r FROM k JOIN c ON c.qid = k.qid AND c.id = k.id WHERE rank = {K}),
@@ -288,8 +308,7 @@ _register("candidate_share", _shares, _SHARE_SQL)
 
 def _pages(spark, d):
     index, q = _index(spark, d, "emb64", 8, strategy="contiguous")
-    qids, y = next(query_blocks(q, 64))
-    return measures.candidate_share(index, qids, y, query_budgets(index, qids, y, K)["r"], "point").select("qid", "data_pages")
+    return each_block(q, 64, lambda qids, y: measures.candidate_share(index, qids, y, query_budgets(index, qids, y, K)["r"], "point")).select("qid", "data_pages")
 
 
 _register("page_reads", _pages)
@@ -306,8 +325,7 @@ _register("ceiling_tightness", _tight)
 
 def _overlap(spark, d):
     index, q = _index(spark, d, "emb64", 8)
-    qids, y = next(query_blocks(q, 64))
-    return measures.block_overlap(index, qids, y, query_budgets(index, qids, y, K)["r"])
+    return each_block(q, 64, lambda qids, y: measures.block_overlap(index, qids, y, query_budgets(index, qids, y, K)["r"]))
 
 
 _register("block_overlap", _overlap)
@@ -360,6 +378,12 @@ def _pairs_near(spark, d):
 _register("similar_pairs", _pairs_near, f"WITH {_pairs_sql('emb64', G.exponential(), 20)} SELECT qid, id, round(divergence, 6) divergence FROM d WHERE divergence <= 0.9 AND qid <> id")
 
 
+# The searches above for whole tables. SQL is given for those of 20 queries only: it is too slow for these.
+_SEARCHES = "(scan_knn|exact_knn|cell_knn|tree_knn|guided_tree_knn|approx_knn|tree_range|block_range|ceiling|div)_|(blockwise_knn_union|knn_label_vote|knn_filtered_lang|budgets_k20|candidate_share|page_reads|block_overlap|query_summary)$"
+for name in [n for n in QUERIES if re.match(_SEARCHES, n)]:
+    _register(f"{name}_every20", _whole(QUERIES[name]))
+
+
 # Experiments.
 ROLES = {"event_profile192": 28, "doc_hash400": 50, "page_hash256": 37, "line_mix128": 22}
 COLUMNS = "workload string, view string, method string, k int, m int, p double, build_s double, run_s double, index_pages double, data_pages double, cand_share double, overall_ratio double, recall double"
