@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from divknn.functions.generators import Generator, divergence
+from divknn.operators.baselines import build_whole_tree
 from divknn.operators.index import Index
-from divknn.operators.search import exact_knn
+from divknn.operators.search import exact_knn, range_search
 from divknn.operators.vectors import scan_knn
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -35,6 +36,16 @@ def similar_pairs(points: DataFrame, few: DataFrame, gen: Generator, radius: flo
     return near.select("qid", "id", divergence(gen, "vec", "yvec").alias("divergence"))
 
 
+def all_similar_pairs(points: DataFrame, gen: Generator, radius: float) -> DataFrame:
+    """(qid, id, divergence) of all pairs within a radius, in either direction: one row a pair, qid < id, the smaller divergence.
+
+    Every point asks a whole-space tree, in query blocks of checked size.
+    """
+    queries = points.select(F.col("id").alias("qid"), F.col("vec").alias("yvec"), F.lit(float(radius)).alias("radius"))
+    found = range_search(build_whole_tree(points, gen), queries).where("qid <> id")
+    return found.groupBy(F.least("qid", "id").alias("qid"), F.greatest("qid", "id").alias("id")).agg(F.min("divergence").alias("divergence"))
+
+
 def report(measures: DataFrame) -> DataFrame:
     """Means of a measure by (view, method), by view, and over all."""
     return measures.rollup("view", "method").agg(F.avg("value").alias("value"), F.count("*").alias("n"))

@@ -361,8 +361,8 @@ _register("knn_filtered_lang", _filtered, _knn_sql("doc_hash50", G.itakura_saito
 
 def _join(spark, d):
     p = _CATALOGUE["part_month"].load(spark, d)
-    few = p.orderBy("id").limit(20)
-    near = relational.knn_join(few, p, G.itakura_saito(), 5)
+    left = p if _WHOLE.get() else p.orderBy("id").limit(20)
+    near = relational.knn_join(left, p, G.itakura_saito(), 5)
     names = views.read(spark, d, "part").select(F.col("p_partkey").alias("id"), "p_brand")
     return _rounded(near).join(names, "id").select("qid", "rank", "id", "divergence", "p_brand")
 
@@ -378,6 +378,10 @@ def _pairs_near(spark, d):
 _register("similar_pairs", _pairs_near, f"WITH {_pairs_sql('emb64', G.exponential(), 20)} SELECT qid, id, round(divergence, 6) divergence FROM d WHERE divergence <= 0.9 AND qid <> id")
 
 
+_register("similar_pairs_all", lambda s, d: relational.all_similar_pairs(_CATALOGUE["emb64"].load(s, d), G.exponential(), 0.9).select("qid", "id", F.round("divergence", 6).alias("divergence")))
+_register("knn_join_parts_all", _whole(_join))
+
+
 # The searches above for whole tables. SQL is given for those of 20 queries only: it is too slow for these.
 _SEARCHES = "(scan_knn|exact_knn|cell_knn|tree_knn|guided_tree_knn|approx_knn|tree_range|block_range|ceiling|div)_|(blockwise_knn_union|knn_label_vote|knn_filtered_lang|budgets_k20|candidate_share|page_reads|block_overlap|query_summary)$"
 for name in [n for n in QUERIES if re.match(_SEARCHES, n)]:
