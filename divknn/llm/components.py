@@ -12,7 +12,8 @@ def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """``(node, comp)`` for every node of ``edges(a, b)``; ``comp`` is the smallest node of its component.
 
     Every step aggregates to one minimum per node before it joins, so no neighbourhood is gathered in
-    one place; hot nodes are left to the skew handling of the join.
+    one place; hot nodes are left to the skew handling of the join. Rounds needed grow as the logarithm of
+    the longest chain; an error is raised where ``rounds`` is not enough.
     """
     now, before = saved(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()), None
     for _ in range(rounds):
@@ -26,5 +27,7 @@ def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
         if state == before:
             break
         before = state
+    else:
+        raise RuntimeError(f"components did not converge in {rounds} rounds")
     leaves = now.select(F.col("u").alias("node"), F.col("v").alias("comp"))
     return leaves.unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct())
