@@ -7,8 +7,11 @@ corpus are counted away first. What is left is reduced to distinct segment conte
 occurrence, dealt to shards by anchor, and each shard's index tells for every window of every content
 where it occurs first. All occurrences then learn what of them is a repeat.
 
-An anchor with very many distinct contents (a passage in ever new surroundings) does not go to one shard:
-its contents are cut into single windows, and equal windows are aggregated before the shuffle.
+An anchor with more contents than a shard holds (a passage in ever new surroundings) is split: its windows
+are told apart by where in them the anchor lies, in blocks of places, and by all that the windows of a block
+must have in common, the core. Equal windows have equal blocks and cores, so each such group can go to a
+shard of its own; a core that one content alone has is counted away. Blocks become smaller until every
+group fits; blocks of one place have the window itself as core.
 
 Rows that repeat are judged each against smaller ``doc_id`` values; a null ``doc_id`` ranks last.
 """
@@ -25,8 +28,8 @@ from pyspark.sql import functions as F
 from .common import SPACE, _mix, runs_of, saved, text_slices, word_hashes
 
 NULL_DOC = (1 << 63) - 1
-#: Most distinct contents of an anchor in one shard.
-HOT = 2_000
+#: Places in a block are fewer by this factor in each round of splitting.
+FINER = 4
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 
@@ -108,11 +111,11 @@ def segments(h: np.ndarray, offsets: np.ndarray, window: int, gram: int, content
 
 def _ranked(docs: DataFrame) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
-    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.hash(text).alias("key"), text.alias("text"))
+    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_DOC)).alias("doc"), F.xxhash64(text).alias("key"), F.hash(text).alias("key2"), text.alias("text"))
 
 
 def _live_segments(ranked: DataFrame, kind) -> DataFrame:
-    """Occurrences of the anchors that occur twice or more: (anchor, content, doc, key, start, size)."""
+    """Occurrences of the anchors that occur twice or more: (anchor, content, doc, key, key2, start, size)."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -122,18 +125,18 @@ def _live_segments(ranked: DataFrame, kind) -> DataFrame:
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            docs, keys = batch.column("doc").to_numpy(), batch.column("key").to_numpy()
+            docs, keys, keys2 = (batch.column(c).to_numpy() for c in ("doc", "key", "key2"))
             for a, _, texts in text_slices(batch, limit=kind.slice_bytes):
                 owner, start, size, anchor, content = segments(*kind.symbols(texts), kind.window, kind.gram)
-                cols = [anchor, content, docs[a + owner], keys[a + owner], start.astype(np.int32), size.astype(np.int32)]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["anchor", "content", "doc", "key", "start", "size"])
+                cols = [anchor, content, docs[a + owner], keys[a + owner], keys2[a + owner], start.astype(np.int32), size.astype(np.int32)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["anchor", "content", "doc", "key", "key2", "start", "size"])
 
     again = saved(ranked.select("text").mapInArrow(count, "anchor long, n short").groupBy("anchor").agg(F.sum("n").alias("n")).where("n > 1").select("anchor"))  # apart, so that a hot anchor can be split in the join
-    every = ranked.mapInArrow(place, "anchor long, content long, doc long, key int, start int, size int")
+    every = ranked.mapInArrow(place, "anchor long, content long, doc long, key long, key2 int, start int, size int")
     return saved(every.join(again, "anchor"))
 
 
-_FETCHED = "anchor long, content long, doc long, start long, hot boolean, body binary"
+_FETCHED = "anchor long, content long, doc long, start long, size long, large boolean, body binary"
 _RUNS = "anchor long, content long, runs array<struct<from:int,to:int,doc:long,base:long>>"
 
 
@@ -146,9 +149,9 @@ def _fetch(kind):
                 rows = []
                 for i, t in enumerate(texts):
                     cut = kind.cutter(t)
-                    rows += [(q["anchor"], q["content"], docs[a + i], q["start"], q["hot"], cut(q["start"], q["start"] + q["size"])) for q in asked[a + i]]
+                    rows += [(q["anchor"], q["content"], docs[a + i], q["start"], q["size"], q["large"], cut(q["start"], q["start"] + q["size"])) for q in asked[a + i]]
                 if rows:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary()), strict=True)], names=[x.split()[0] for x in _FETCHED.split(", ")])
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(),) * 5 + (pa.bool_(), pa.binary()), strict=True)], names=[x.split()[0] for x in _FETCHED.split(", ")])
 
     return fetch
 
@@ -179,57 +182,108 @@ def _resolver(kind, index):
     return resolve
 
 
-def _single_windows(fetched: DataFrame, kind) -> DataFrame:
-    """Runs for contents of hot anchors: equal windows meet by their hash, aggregated before the shuffle."""
+_PARTS = "panchor long, pcontent long, at int, anchor long, content long, doc long, start long, size long, place int, body binary"
 
-    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+
+def _parts(large: DataFrame, kind, block: int) -> DataFrame:
+    """Contents cut where the anchor's place in their windows enters another block; the new anchor is block and core."""
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, bodies in text_slices(batch, "body", kind.slice_bytes):
                 h, offsets = kind.symbols(bodies)
-                n = len(h) - kind.window + 1
                 up, down = powers(len(h) + 1)
-                sums = [np.concatenate((np.zeros(1, np.uint64), np.cumsum(x * up[: len(h)], dtype=np.uint64))) for x in (h, _mix(h))]
-                owner = np.repeat(np.arange(b - a), np.diff(offsets))
-                at = np.flatnonzero(owner[:n] == owner[kind.window - 1 :])
-                hashes = [_mix((s[at + kind.window] - s[at]) * down[at]).view(np.int64) for s in sums]
-                who = owner[at]
-                off = at - offsets[who]
-                cols = [batch.column(c).to_numpy()[a + who] for c in ("anchor", "content", "doc", "start")]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (*hashes, *cols[:3], cols[3] + off, off.astype(np.int32))], names=["w1", "w2", "anchor", "content", "doc", "pos", "at"])
-
-    rows = fetched.where("hot").mapInArrow(split, "w1 long, w2 long, anchor long, content long, doc long, pos long, at int")
-    first = rows.groupBy("w1", "w2").agg(F.min(F.struct("doc", "pos")).alias("f"))
-    met = rows.select("w1", "w2", "anchor", "content", "at").join(first, ["w1", "w2"])
-    run = F.struct(F.col("at").alias("from"), (F.col("at") + 1).alias("to"), F.col("f.doc").alias("doc"), (F.col("f.pos") - F.col("at")).alias("base"))
-    return met.groupBy("anchor", "content").agg(F.collect_list(run).alias("runs"))
-
-
-def repeated_spans(docs: DataFrame, kind, index, hot: int = HOT) -> DataFrame:
-    """``docs``' (doc, key, text) with ``spans`` (from, to in symbols, may overlap) that occur before; null if none."""
+                prefix = np.concatenate((np.zeros(1, np.uint64), np.cumsum(h * up[: len(h)], dtype=np.uint64)))
+                anchor = batch.column("anchor").to_numpy()[a:b]
+                place = batch.column("place").to_numpy(zero_copy_only=False)[a:b]
+                if batch.column("place").null_count:
+                    place = _places(prefix, down, offsets, anchor, kind.gram)
+                place, count = place.astype(np.int64), np.diff(offsets) - kind.window + 1
+                blocks = place // block - (place - count + 1) // block + 1
+                who = np.repeat(np.arange(b - a), blocks)
+                own = place[who] // block - (np.arange(len(who)) - np.repeat(np.cumsum(blocks) - blocks, blocks))
+                first = place[who] - np.minimum(place[who], own * block + block - 1)
+                last = place[who] - np.maximum(place[who] - count[who] + 1, own * block)
+                begin, end = offsets[who] + first, offsets[who] + last + kind.window
+                core = offsets[who] + place[who] - own * block, offsets[who] + place[who] - np.minimum(own * block + block - 1, kind.window - kind.gram) + kind.window
+                digest = lambda x, y: _mix((prefix[y] - prefix[x]) * down[x] + (y - x).astype(np.uint64))
+                with np.errstate(over="ignore"):
+                    key = _mix(digest(*core) + _mix(anchor.view(np.uint64)[who] + _mix(own.astype(np.uint64))))
+                cuts: list[bytes] = []
+                for i, t in enumerate(bodies):
+                    piece = kind.cutter(t)
+                    cuts += [piece(int(first[j]), int(last[j]) + kind.window) for j in range(*np.searchsorted(who, [i, i + 1]))]
+                cols = [anchor[who], batch.column("content").to_numpy()[a:b][who], first.astype(np.int32), key.view(np.int64), digest(begin, end).view(np.int64)]
+                cols += [batch.column("doc").to_numpy()[a:b][who], batch.column("start").to_numpy()[a:b][who] + first, end - begin, (place[who] - first).astype(np.int32), pa.array(cuts, pa.binary())]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=[x.split()[0] for x in _PARTS.split(", ")])
+
+    return large.select("anchor", "content", "doc", "start", "place", "body").mapInArrow(cut, _PARTS)
+
+
+def _places(prefix: np.ndarray, down: np.ndarray, offsets: np.ndarray, anchor: np.ndarray, gram: int) -> np.ndarray:
+    """Where the anchor is first in each body; all windows of a body hold it there."""
+    grams = _mix((prefix[gram:] - prefix[:-gram]) * down[: len(prefix) - gram]).view(np.int64)
+    owner = np.repeat(np.arange(len(anchor)), np.diff(offsets))[: len(grams)]
+    at = np.flatnonzero(grams == anchor[owner])
+    who, first = np.unique(owner[at], return_index=True)
+    assert len(who) == len(anchor)
+    return at[first] - offsets[:-1]
+
+
+def _resolved(level: DataFrame, kind, index, shards: int) -> DataFrame:
+    dealt = level.select("anchor", "content", "doc", "start", "body").withColumn("shard", F.pmod(F.xxhash64("anchor"), F.lit(shards)))
+    return dealt.groupBy("shard").applyInArrow(_resolver(kind, index), _RUNS)
+
+
+def _split(large: DataFrame, kind, index, block: int, most: int) -> DataFrame:
+    """Runs (anchor, content, runs) of contents whose anchors have more than a shard holds."""
+    parts = saved(_parts(large, kind, block))
+    firsts = parts.groupBy("anchor", "content").agg(F.min(F.struct("doc", "start")).alias("f"), F.first("size").alias("size"), F.first("place").alias("place"), F.first("body").alias("body"))
+    firsts = saved(firsts.select("anchor", "content", "f.*", "size", "place", "body"))
+    sums = saved(firsts.groupBy("anchor").agg(F.count("*").alias("contents"), F.sum("size").alias("symbols")))
+    level = firsts.join(sums, "anchor")
+    whole = F.struct(F.lit(0).alias("from"), (F.col("size") - kind.window + 1).cast("int").alias("to"), "doc", F.col("start").alias("base"))
+    runs = level.where("contents = 1").select("anchor", "content", F.array(whole).alias("runs"))
+    shared = level.where("contents > 1")
+    total = sums.where(f"contents > 1 and symbols <= {most}").agg(F.sum("symbols").alias("n")).first()["n"] or 0
+    runs = runs.unionByName(_resolved(shared.where(F.col("symbols") <= most), kind, index, max(1, -(-total // kind.shard_symbols))))
+    if block > 1 and sums.where(f"contents > 1 and symbols > {most}").limit(1).count():
+        runs = runs.unionByName(_split(shared.where(F.col("symbols") > most), kind, index, max(1, block // FINER), most))
+    moved = lambda r: F.struct((r["from"] + F.col("at")).alias("from"), (r["to"] + F.col("at")).alias("to"), r["doc"].alias("doc"), (r["base"] - F.col("at")).alias("base"))
+    back = parts.select("panchor", "pcontent", "at", "anchor", "content").join(saved(runs), ["anchor", "content"]).select("panchor", "pcontent", F.transform("runs", moved).alias("runs"))
+    return back.groupBy(F.col("panchor").alias("anchor"), F.col("pcontent").alias("content")).agg(F.flatten(F.collect_list("runs")).alias("runs"))
+
+
+def repeated_spans(docs: DataFrame, kind, index, most: int | None = None) -> DataFrame:
+    """``docs``' (doc, key, key2, text) with ``spans`` (from, to in symbols, may overlap) that occur before; null if none.
+
+    ``most``: symbols of an anchor's contents that go to one shard unsplit, those of a shard unless told.
+    """
+    most = kind.shard_symbols if most is None else most
+    row = ["doc", "key", "key2"]
     ranked = _ranked(docs)
     live = _live_segments(ranked, kind)
-    first = live.groupBy("anchor", "content").agg(F.min(F.struct("doc", "start", "key", "size")).alias("f"), F.count("*").alias("n"))
-    first = saved(first.select("anchor", "content", "f.*", "n"))
-    sums = first.groupBy("anchor").agg(F.count("*").alias("contents"), F.sum("n").alias("n"))
+    first = live.groupBy("anchor", "content").agg(F.min(F.struct("doc", "start", "key", "key2", "size")).alias("f"))
+    first = saved(first.select("anchor", "content", "f.*"))
+    sums = first.groupBy("anchor").agg(F.sum("size").alias("symbols"))
+    large = saved(sums.where(F.col("symbols") > most).select("anchor", F.lit(True).alias("many")))
     total = first.agg(F.sum("size").alias("symbols")).first()["symbols"] or 0
-    burning = sums.where(F.col("contents") > hot).select("anchor").withColumn("burns", F.lit(True))
-    any_hot = burning.limit(1).count() > 0
-    shards = max(1, -(-total // kind.shard_symbols))
-    asked = first.join(burning, "anchor", "left").withColumn("hot", F.coalesce("burns", F.lit(False))) if any_hot else first.withColumn("hot", F.lit(False))
-    asked = asked.groupBy("doc", "key").agg(F.collect_list(F.struct("anchor", "content", "start", "size", "hot")).alias("asked"))
+    any_large = large.limit(1).count() > 0
+    asked = first.join(large, "anchor", "left").withColumn("large", F.coalesce("many", F.lit(False))) if any_large else first.withColumn("large", F.lit(False))
+    asked = asked.groupBy(row).agg(F.collect_list(F.struct("anchor", "content", "start", "size", "large")).alias("asked"))
     # Each part is written as it is done, so that the shuffles of one step are gone in the next.
-    fetched = saved(ranked.join(asked, ["doc", "key"]).select("doc", "text", "asked").mapInArrow(_fetch(kind), _FETCHED))
-    dealt = fetched.where("not hot").withColumn("shard", F.pmod(F.xxhash64("anchor"), F.lit(shards)))
-    runs = dealt.groupBy("shard").applyInArrow(_resolver(kind, index), _RUNS)
-    if any_hot:
-        runs = runs.unionByName(_single_windows(fetched, kind))
-    seen = live.join(saved(runs), ["anchor", "content"]).select("doc", "key", "start", F.explode("runs").alias("r"))
+    fetched = saved(ranked.join(asked, row).select("doc", "text", "asked").mapInArrow(_fetch(kind), _FETCHED))
+    runs = _resolved(fetched.where("not large"), kind, index, max(1, -(-total // kind.shard_symbols)))
+    if any_large:
+        block = max(1, (kind.window - kind.gram + 1) // FINER)
+        runs = runs.unionByName(_split(fetched.where("large").withColumn("place", F.lit(None).cast("int")), kind, index, block, most))
+    seen = live.join(saved(runs), ["anchor", "content"]).select(*row, "start", F.explode("runs").alias("r"))
     earlier = F.col("r.doc") < F.col("doc")
     if kind.within:
         earlier = earlier | ((F.col("r.doc") == F.col("doc")) & (F.col("r.base") < F.col("start")))
     span = F.struct((F.col("start") + F.col("r.from")).alias("from"), (F.col("start") + F.col("r.to") + kind.window - 1).alias("to"))
-    spans = seen.where(earlier).groupBy("doc", "key").agg(F.collect_set(span).alias("spans"))
-    return ranked.join(saved(spans), ["doc", "key"], "left")
+    spans = seen.where(earlier).groupBy(row).agg(F.collect_set(span).alias("spans"))
+    return ranked.join(saved(spans), row, "left")
 
 
 def covered(spans, n: int) -> np.ndarray:

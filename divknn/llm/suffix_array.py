@@ -141,7 +141,7 @@ def first_occurrences(bodies: list[bytes], docs: np.ndarray, starts: np.ndarray,
 _RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
-def remove_repeated_strings(docs: DataFrame, hot: int | None = None) -> DataFrame:
+def remove_repeated_strings(docs: DataFrame, most: int | None = None) -> DataFrame:
     """Per document: its bytes, how many a window that starts earlier covers, in how many runs, and the rest's digest."""
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,7 +159,7 @@ def remove_repeated_strings(docs: DataFrame, hot: int | None = None) -> DataFram
                     rows.append((None if ids[a + i] == NULL_DOC else ids[a + i], len(t), gone, len(begin), digest.hexdigest()))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(),) * 4 + (pa.string(),), strict=True)], names=[x.split()[0] for x in _RESULT.split(", ")])
 
-    found = repeated_spans(docs, Bytes, first_occurrences, **({"hot": hot} if hot is not None else {}))
+    found = repeated_spans(docs, Bytes, first_occurrences, most)
     return found.select("doc", "text", F.col("spans")).mapInArrow(finish, _RESULT)
 
 

@@ -54,20 +54,37 @@ def passages():
     return rows + [(500 + i, rows[-1 - i][1]) for i in range(5)] + [(600, "\x00 a" * 300)]
 
 
-@pytest.mark.parametrize("hot", [None, 2])
-def test_words(spark, hot):
+@pytest.mark.parametrize("most", [None, 150])
+def test_words(spark, most):
     for rows in (passages(), [], [(1, "x")]):
-        got = fm_index.remove_repeated_passages(docs(spark, rows), hot).collect()
+        got = fm_index.remove_repeated_passages(docs(spark, rows), most).collect()
         assert sorted((str(r[0]), *r[1:]) for r in got) == brute_words(rows)
 
 
-@pytest.mark.parametrize("hot", [None, 2])
-def test_bytes(spark, hot):
+@pytest.mark.parametrize("most", [None, 400])
+def test_bytes(spark, most):
     for rows in (passages(), [], [(1, "x")]):
-        got = suffix_array.remove_repeated_strings(docs(spark, rows), hot).collect()
+        got = suffix_array.remove_repeated_strings(docs(spark, rows), most).collect()
         assert sorted((str(r[0]), *r[1:]) for r in got) == brute_bytes(rows)
 
 
+def surrounded(n, inner, outer, few):
+    """One passage in ``n`` surroundings, of which some share the words next to it."""
+    rng = np.random.default_rng(9)
+    passage = " ".join(f"p{x}" for x in range(inner))
+    some = lambda: " ".join(f"q{x}" if rng.random() < 0.2 else f"r{rng.integers(10**9)}" for x in rng.integers(0, few, int(rng.integers(1, outer))))
+    return [(i, f"{some()} {passage} {some()}") for i in range(n)]
+
+
+def test_a_passage_in_ever_new_surroundings(spark):
+    rows = surrounded(10_000, 60, 12, 5)
+    got = fm_index.remove_repeated_passages(docs(spark, rows)).collect()
+    assert sorted((str(r[0]), *r[1:]) for r in got) == brute_words(rows)
+    rows = surrounded(1_500, 40, 8, 5)
+    got = suffix_array.remove_repeated_strings(docs(spark, rows), 50_000).collect()
+    assert sorted((str(r[0]), *r[1:]) for r in got) == brute_bytes(rows)
+
+
 def test_given_documents(spark, sf):
     df = table(spark, sf, "documents")
     rows = [(r[0], r[1]) for r in df.select("doc_id", "text").collect()]
@@ -86,8 +103,9 @@ def test_matching_statistics():
         for who, at, depth, row in index.stream(np.concatenate(queries), np.cumsum(sizes), sizes):
             for w, a, d, r in zip(who, at, depth, row, strict=True):
                 got[w, a] = d
-                s = index.order[r]
-                assert d == 0 or np.array_equal(text[s : s + d], queries[w][a : a + d])
+                if d == cap:  # the first place of a full match
+                    s = int(index.first(np.array([r]))[0])
+                    assert np.array_equal(text[s : s + d], queries[w][a : a + d]) and not any(np.array_equal(text[i : i + d], queries[w][a : a + d]) for i in range(s))
         held = text.tobytes()
         for w, q in enumerate(queries):
             for a in range(len(q)):
