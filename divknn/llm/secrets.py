@@ -31,7 +31,8 @@ KINDS = ("assign", "access", "hex", "identifier", "opaque", "endpoint")
 #: What a kind is (1 identifies, 2 is secret, 4 is a place), and for weak kinds what must be near.
 ROLE = {"assign": 2, "access": 1, "hex": 2, "identifier": 1, "opaque": 2, "endpoint": 4}
 NEEDS = {"identifier": 2, "opaque": 1 | 4, "endpoint": 2}
-SCOPE, BIN = 160, 512
+SCOPE, BIN, CHUNK = 160, 512, 64
+_NO_SPANS = "cast(array() as array<struct<rank:int,start:int,end:int>>)"
 
 
 def _found(text: Column, kind: str, pattern: str, keep=None, group: int = 0) -> Column:
@@ -42,18 +43,20 @@ def _found(text: Column, kind: str, pattern: str, keep=None, group: int = 0) ->
         F.transform(hits, lambda h: F.length(h)).alias("hit"),
         (F.regexp_extract_all(text, F.lit(pattern), F.lit(group)) if group else hits).alias("own"),
     )
-    rank = KINDS.index(kind)
-    start = F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<rank:int,start:int,end:int>>)").alias("out"))
+    # Places are sums of what goes before. In chunks, so that a text with very many hits is not copied for each.
+    chunks = F.transform(F.sequence(F.lit(0), F.floor((F.size(parts) - 1) / CHUNK).cast("int")), lambda i: F.slice(parts, i * CHUNK + 1, CHUNK))
+    length = lambda p: p["gap"] + F.coalesce(p["hit"], F.lit(0))
+    sums = F.transform(chunks, lambda c: F.aggregate(c, F.lit(0), lambda n, p: n + length(p)))
+    begins = F.aggregate(sums, F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<int>)").alias("out")), lambda a, n: F.struct((a["at"] + n).alias("at"), F.concat(a["out"], F.array(a["at"])).alias("out")), lambda a: a["out"])
 
     def step(acc: Column, p: Column) -> Column:
         begin = acc["at"] + p["gap"]
-        end = begin + F.coalesce(p["hit"], F.lit(0))
-        one = F.array(F.struct(F.lit(rank).alias("rank"), begin.alias("start"), end.alias("end")))
+        one = F.array(F.struct(F.lit(KINDS.index(kind)).alias("rank"), begin.alias("start"), (acc["at"] + length(p)).alias("end")))
         good = p["hit"].isNotNull() & (keep(p["own"]) if keep else F.lit(True))
-        return F.struct(end.alias("at"), F.when(good, F.concat(acc["out"], one)).otherwise(acc["out"]).alias("out"))
+        return F.struct((acc["at"] + length(p)).alias("at"), F.when(good, F.concat(acc["out"], one)).otherwise(acc["out"]).alias("out"))
 
-    folded = F.aggregate(parts, start, step, lambda acc: acc["out"])
-    return F.when(F.size(hits) > 0, folded).otherwise(F.expr("cast(array() as array<struct<rank:int,start:int,end:int>>)"))
+    folded = F.flatten(F.zip_with(chunks, begins, lambda c, at: F.aggregate(c, F.struct(at.alias("at"), F.expr(_NO_SPANS).alias("out")), step, lambda acc: acc["out"])))
+    return F.when(F.size(hits) > 0, folded).otherwise(F.expr(_NO_SPANS))
 
 
 def _parts(text: Column) -> Column:
@@ -91,22 +94,21 @@ def linked_spans(docs: DataFrame, text: str = "text", key: str = "doc_id") -> Da
     role = F.element_at(F.array(*[F.lit(ROLE[k]) for k in KINDS]), F.col("p.rank") + 1)
     needs = F.element_at(F.array(*[F.lit(NEEDS.get(k, 0)) for k in KINDS]), F.col("p.rank") + 1)
     linkable = seen.where(F.exists("parts", lambda s: s["rank"].isin(weak)) & (F.size("parts") > 1)).dropDuplicates(["k1", "k2"])
-    flat = linkable.select("k1", "k2", "base", F.explode("parts").alias("p"))
+    flat = linkable.select("k1", "k2", F.explode("parts").alias("p"))
+    bins = lambda lo, hi: F.explode(F.sequence(F.floor(lo / BIN), F.floor((hi - 1) / BIN)))
     # A part lies in every bin of its scope; a bin holds a bounded number of parts, so no group of rows is hot.
     near = flat.select("k1", "k2", role.alias("role"), (F.col("p.start") - SCOPE).alias("lo"), (F.col("p.end") + SCOPE).alias("hi"))
-    near = near.withColumn("bin", F.explode(F.sequence(F.floor(F.col("lo") / BIN), F.floor((F.col("hi") - 1) / BIN))))
-    asking = flat.where(F.col("p.rank").isin(weak) & ~F.exists("base", lambda b: (b["start"] < F.col("p.end")) & (b["end"] > F.col("p.start"))))
-    asking = asking.select("k1", "k2", "p", needs.alias("needs"), F.explode(F.sequence(F.floor(F.col("p.start") / BIN), F.floor((F.col("p.end") - 1) / BIN))).alias("bin"))
-    n, a = near.alias("n"), asking.alias("a")
-    met = a.join(
-        n,
-        (F.col("a.k1") == F.col("n.k1")) & (F.col("a.k2") == F.col("n.k2")) & (F.col("a.bin") == F.col("n.bin"))
-        & (F.col("n.lo") < F.col("a.p.end")) & (F.col("n.hi") > F.col("a.p.start")) & (F.col("a.needs").bitwiseAND(F.col("n.role")) != 0),
-        "left_semi",
-    )
+    near = near.withColumn("bin", bins(F.col("lo"), F.col("hi")))
+    strong = flat.where(F.col("p.rank") < base_ranks).select("k1", "k2", F.col("p.start").alias("lo"), F.col("p.end").alias("hi"), bins(F.col("p.start"), F.col("p.end")).alias("bin"))
+    asking = flat.where(F.col("p.rank").isin(weak)).select("k1", "k2", "p", needs.alias("needs"), bins(F.col("p.start"), F.col("p.end")).alias("bin"))
+    a, n = asking.alias("a"), near.alias("n")
+    there = lambda t: (F.col("a.k1") == F.col(f"{t}.k1")) & (F.col("a.k2") == F.col(f"{t}.k2")) & (F.col("a.bin") == F.col(f"{t}.bin")) & (F.col(f"{t}.lo") < F.col("a.p.end")) & (F.col(f"{t}.hi") > F.col("a.p.start"))
+    met = a.join(n, there("n") & (F.col("a.needs").bitwiseAND(F.col("n.role")) != 0), "left_semi").select("k1", "k2", "p", F.lit(False).alias("under"))
+    under = a.join(strong.alias("s"), there("s"), "left_semi").select("k1", "k2", "p", F.lit(True).alias("under"))  # a strong one has said it
+    met = met.unionByName(under).groupBy("k1", "k2", "p").agg(F.max("under").alias("under")).where("not under")
     added = met.groupBy("k1", "k2").agg(F.collect_set("p").alias("added"))
     out = seen.drop("parts").join(added, ["k1", "k2"], "left")
-    return out.withColumn("spans", F.concat("base", F.coalesce("added", F.expr("cast(array() as array<struct<rank:int,start:int,end:int>>)")))).drop("added")
+    return out.withColumn("spans", F.concat("base", F.coalesce("added", F.expr(_NO_SPANS)))).drop("added")
 
 
 def secret_digest(docs: DataFrame) -> DataFrame:
@@ -118,7 +120,8 @@ def secret_digest(docs: DataFrame) -> DataFrame:
 def redact(docs: DataFrame, mark: str = "[SECRET]") -> DataFrame:
     """``docs`` with every reported span replaced by ``mark`` (overlapping spans by one mark)."""
     whole = F.coalesce(F.col("text"), F.lit(""))
-    keyed = docs.withColumns({"k1": F.xxhash64(F.lit(1), F.col("doc_id"), whole), "k2": F.xxhash64(F.lit(2), whole, F.col("doc_id"))})
+    # All columns in one, so that none can clash with those of the join.
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "text", F.xxhash64(F.lit(1), F.col("doc_id"), whole).alias("k1"), F.xxhash64(F.lit(2), whole, F.col("doc_id")).alias("k2"))
     found = linked_spans(docs).where(F.size("spans") > 0).select("k1", "k2", "spans").dropDuplicates(["k1", "k2"])
     ordered = F.array_sort(F.transform("spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"))))
     init = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
@@ -132,8 +135,8 @@ def redact(docs: DataFrame, mark: str = "[SECRET]") -> DataFrame:
         )
 
     clean = F.aggregate(ordered, init, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    joined = keyed.join(found, ["k1", "k2"], "left")
-    return joined.withColumn("text", F.when(F.col("spans").isNull(), F.col("text")).otherwise(clean)).select(docs.columns)
+    joined = keyed.join(found, ["k1", "k2"], "left").withColumn("text", F.when(F.col("spans").isNull(), F.col("text")).otherwise(clean))
+    return joined.select(*[F.col("text") if c == "text" else F.col(f"row.`{c}`") for c in docs.columns])
 
 
 def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,5 +13,5 @@ def docs(spark, rows):
 
 AWKWARD = [
     (1, None), (2, ""), (3, " \n\t "), (4, "one"), (5, "a b c " * 4000), (6, "same text here"), (7, "same text here"),
-    (7, "same text here"), (None, "no id, but a text é中\U0001f600 of some words"), (8, "x" * 20000),
+    (7, "same text here"), (7, "another text of that id"), (None, "a second one without an id"), (None, None), (None, "no id, but a text é中\U0001f600 of some words"), (8, "x" * 20000),
 ]

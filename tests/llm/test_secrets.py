@@ -1,8 +1,10 @@
 import hashlib
+import random
 import re
 
 from divknn.llm import secrets
 from divknn.llm.common import table
+from pyspark.sql import functions as F
 
 from .helpers import AWKWARD, docs
 
@@ -56,3 +58,44 @@ def test_weak_parts_need_a_complement(spark):
 def test_redaction(spark):
     df = docs(spark, [(1, 'x é😀 token = "abcdef12" y'), (2, None), (3, "plain"), (4, "secret=aaaaaaaabbbbbbbbcccccccc0 z")])
     assert dict((r[0], r[1]) for r in secrets.redact(df).collect()) == {1: 'x é😀 [SECRET]" y', 2: None, 3: "plain", 4: "[SECRET] z"}
+
+
+WEAK = {"identifier": (secrets.IDENTIFIER, 1), "opaque": (secrets.OPAQUE, 0), "endpoint": (secrets.ENDPOINT, 0)}
+ROLE = {"assign": 2, "access": 1, "hex": 2, "identifier": 1, "opaque": 2, "endpoint": 4}
+NEEDS = {"identifier": {2}, "opaque": {1, 4}, "endpoint": {2}}
+
+
+def brute_linked(text):
+    base = [(s, rank, e, k) for s, rank, e, k in brute(text)[0]]
+    weak = []
+    for rank, (kind, (pattern, group)) in enumerate(WEAK.items(), 3):
+        for m in re.finditer(pattern, text or "", re.ASCII):
+            own = m.group(group)
+            mixed = all(re.search(p, own) for p in ("[0-9]", "[a-z]", "[A-Z]"))
+            if (kind != "identifier" or len(own) >= 3) and (kind != "opaque" or mixed):
+                weak.append((m.start(), rank, m.end(), kind))
+    near = lambda a, b: a[0] - 160 < b[2] and a[2] + 160 > b[0]
+    linked = [w for w in weak if not any(b[0] < w[2] and b[2] > w[0] for b in base) and any(near(p, w) and ROLE[p[3]] in NEEDS[w[3]] for p in base + weak)]
+    return ",".join(f"{k}:{s}:{e}" for s, _, e, k in sorted(base + linked))
+
+
+def test_links_match_brute_force(spark, sf):
+    rng = random.Random(4)
+    part = lambda: rng.choice([
+        lambda: f"client_id = user{rng.randrange(999)}", lambda: "".join(rng.choice("abXY0189+/") for _ in range(rng.randrange(25, 70))), lambda: f"https://h{rng.randrange(9)}.example.org/é",
+        lambda: f"secret={rng.randrange(10**8)}", lambda: "%030x" % rng.randrange(16**30), lambda: "AKIA" + "".join(rng.choice("ABC123") for _ in range(18)), lambda: "word é " * rng.randrange(60)])()
+    rows = [(i, " ".join(part() for _ in range(rng.randrange(1, 40)))) for i in range(150)]
+    rows += [(900, " ".join(part() for _ in range(3000))), (None, rows[3][1]), (None, rows[4][1]), (7, rows[5][1])]
+    for df in (docs(spark, rows), table(spark, sf, "documents")):
+        want = sorted((str(r[0]), brute_linked(r[1])) for r in df.select("doc_id", "text").collect())
+        assert sorted((str(r["doc_id"]), r["spans"]) for r in secrets.secret_digest(df).collect()) == want
+
+
+def test_clashing_columns(spark):
+    df = docs(spark, [(1, 'token = "abcdef12" y'), (1, "plain"), (None, None)])
+    for name in ("spans", "k1", "k2", "base", "row", "bin"):
+        df = df.withColumn(name, F.lit(name))
+    out = secrets.redact(df)
+    assert out.columns == df.columns
+    assert sorted(((r["doc_id"], r["text"], r["k1"], r["spans"], r["row"]) for r in out.collect()), key=str) == sorted([(1, '[SECRET]" y', "k1", "spans", "row"), (1, "plain", "k1", "spans", "row"), (None, None, "k1", "spans", "row")], key=str)
+    assert len(secrets.secret_digest(df).collect()) == 3
