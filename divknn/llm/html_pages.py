@@ -23,33 +23,72 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
 
-TRAIN_PAGES, SEED, STEPS = 400, 11, 120
+TRAIN_PAGES, SEED, STEPS, DROPPED = 600, 11, 150, 0.25
 
-#: Fixed lists of HTML: tags that end a block, without content, whose content is no page text, inside of which blocks matter.
-BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
+#: Fixed lists of HTML: tags that end a block, without content, whose content is no markup, small embedded ones, and implied ends.
+BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav noscript ol optgroup option p pre section summary table tbody td template tfoot th thead tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template svg math head title textarea select iframe object canvas video audio button".split())
-IMPLIED = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}}
+RAW = {t: re.compile(rf"</{t}(?=[\s/>])[^>]*(?:>|\Z)", re.I | re.A) for t in ("script", "style", "textarea", "title", "xmp", "iframe", "noembed", "noframes")}
+EMBEDDED = frozenset("button select svg object canvas video audio".split())
+IMPLIED = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 CLOSES_P = BLOCK - {"html", "body"}
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
-_ATTRIBUTE = re.compile(r"(?:^|\s)(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:=\s*+(?:\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))|[^>])*+)(?:>|\Z)", re.S)
+_ATTRIBUTE = re.compile(r"(?:^|\s)(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I | re.A)
 _PARTS = re.compile(r"[a-z]+")
 
 
 class Block:
     __slots__ = ("linked", "marks", "pieces", "tag", "text")
 
-    def __init__(self, tag: str, marks: frozenset):
-        self.tag, self.marks, self.pieces, self.linked, self.text = tag, marks, [], 0, ""
-
-
-def leaf_blocks(page: str) -> list[Block]:
-    """Blocks with text, in page order."""
-    stack: list[tuple[str, frozenset]] = [("#", frozenset())]
+    def __init__(self, tag: str):
+        self.tag, self.marks, self.pieces, self.linked, self.text = tag, frozenset(), [], 0, ""
+
+
+class _Open:
+    """Open elements, and what marks they carry together; marks not in ``known`` are of no use and not kept."""
+
+    def __init__(self, known):
+        self.known, self.tags, self.own, self.count, self.shared = known, ["#"], [()], {}, frozenset()
+
+    def push(self, tag: str, attributes: str) -> None:
+        marks = {f"in={tag}"}
+        for a in _ATTRIBUTE.finditer(attributes):
+            marks |= {f"c={w}" for w in _PARTS.findall((a[2] or a[3] or a[4] or "").lower())}
+        if self.known is not None:
+            marks = {m for m in marks if m in self.known}
+        self.tags.append(tag)
+        self.own.append(tuple(marks))
+        for m in marks:
+            self.count[m] = self.count.get(m, 0) + 1
+            if self.count[m] == 1:
+                self.shared = None
+
+    def pop(self) -> None:
+        self.tags.pop()
+        for m in self.own.pop():
+            self.count[m] -= 1
+            if not self.count[m]:
+                del self.count[m]
+                self.shared = None
+
+    def marks(self) -> frozenset:
+        if self.shared is None:
+            self.shared = frozenset(self.count)
+        return self.shared
+
+
+def leaf_blocks(page: str, known=None) -> list[Block]:
+    """Blocks with text, in page order. ``known``: the marks to keep, all if not given.
+
+    Only scripts, styles and the like are skipped unread, up to their own end tag. The text of embedded
+    elements (buttons, graphics, players) is left out up to their end or the next tag that ends a block, so
+    that one left open costs no more than its block. All else is for the field to decide.
+    """
+    open_ = _Open(known)
     out: list[Block] = []
-    now = Block("#", frozenset())
-    links, skip, at = 0, "", 0
+    now = Block("#")
+    links, hushed, at = 0, "", 0
 
     def close() -> None:
         nonlocal now
@@ -57,22 +96,16 @@ def leaf_blocks(page: str) -> list[Block]:
             now.text = " ".join(html.unescape("".join(now.pieces)).split())
             if now.text:
                 out.append(now)
-        now = Block(stack[-1][0], stack[-1][1])
+        now = Block(open_.tags[-1])
+        now.marks = open_.marks()
 
     def say(piece: str) -> None:
-        if piece:
+        if piece and not hushed:
             now.pieces.append(piece)
             if links:
                 now.linked += len(piece)
 
-    lowered = None
     while at < len(page):
-        if skip:  # raw content runs to its own end tag
-            lowered = lowered or page.lower()
-            end = lowered.find(f"</{skip}", at)
-            at = len(page) if end < 0 else end
-            skip = ""
-            continue
         m = _TOKEN.search(page, at)
         if not m:
             say(page[at:])
@@ -83,9 +116,17 @@ def leaf_blocks(page: str) -> list[Block]:
             continue
         tag = m[2].lower()
         if tag in RAW:
-            if not m[1] and not m[3].endswith("/"):
-                skip = tag
+            if not m[1]:
+                say(" ")
+                end = RAW[tag].search(page, at)
+                at = end.end() if end else len(page)
+            continue
+        if tag in EMBEDDED:
+            if m[1]:
+                hushed = "" if hushed == tag else hushed
+            elif not hushed and not m[3].endswith("/"):
                 say(" ")
+                hushed = tag
             continue
         if tag == "br" or tag == "hr":
             say(" ")
@@ -93,22 +134,18 @@ def leaf_blocks(page: str) -> list[Block]:
             links = 0 if m[1] else 1
         if tag not in BLOCK:
             continue
+        hushed = ""
         if m[1]:
-            depth = next((i for i in range(len(stack) - 1, 0, -1) if stack[i][0] == tag), 0)
-            if depth:
-                del stack[depth:]
+            depth = next((i for i in range(len(open_.tags) - 1, 0, -1) if open_.tags[i] == tag), 0)
+            while depth and len(open_.tags) > depth:
+                open_.pop()
             links = 0
         elif tag not in VOID:
-            if tag in CLOSES_P and stack[-1][0] == "p":
-                stack.pop()
-            for inner in IMPLIED.get(tag, ()):
-                if stack[-1][0] == inner:
-                    stack.pop()
-                    break
-            marks = {f"in={tag}"}
-            for a in _ATTRIBUTE.finditer(m[3]):
-                marks |= {f"c={w}" for w in _PARTS.findall((a[2] or a[3] or a[4] or "").lower())}
-            stack.append((tag, stack[-1][1] | marks))
+            if tag in CLOSES_P and open_.tags[-1] == "p":
+                open_.pop()
+            if open_.tags[-1] in IMPLIED.get(tag, ()):
+                open_.pop()
+            open_.push(tag, m[3])
             links = 0
         close()
     close()
@@ -123,7 +160,8 @@ def block_features(blocks: list[Block]) -> list[list[str]]:
     for i, b in enumerate(blocks):
         words = b.text.count(" ") + 1
         share = b.linked / max(1, len(b.text))
-        mine = [*b.marks, f"tag={b.tag}", f"words={sum(words > s for s in _SIZES)}", f"links={int(min(share, 1) * 4)}", "bias"]
+        near = [sum(x.text.count(" ") + 1 > s for s in _SIZES) for x in (blocks[i - 1] if i else None, blocks[i + 1] if i + 1 < len(blocks) else None) if x is not None]
+        mine = [*b.marks, f"tag={b.tag}", f"words={sum(words > s for s in _SIZES)}", f"near={max(near, default=0)}", f"links={int(min(share, 1) * 4)}", "bias"]
         if b.text[-1] in ".!?…。":
             mine.append("sentence")
         if "©" in b.text or "all rights reserved" in b.text.lower():
@@ -160,6 +198,8 @@ def labelled_page(rng: random.Random) -> tuple[str, list[str]]:
         return rng.choice([f"<aside>{inner}</aside>", f'<div class="{kind}">{inner}</div>', f'<div id="{kind}">{inner}</div>', f'<section class="{kind}">{inner}</section>', f'<p class="{kind}">{text()}</p>', f'<aside class="{kind}">{inner}</aside>', f'<div role="{rng.choice(["complementary", "banner", "alert", "navigation", "search", "dialog"])}">{inner}</div>'])
 
     def form() -> str:
+        if rng.random() < 0.3:
+            return rng.choice([f"<form><select><option>{say(1, 3)}<option>{say(1, 3)}</select><button>{say(1, 2)}</button></form>", f"<noscript><p>{text()}</p></noscript>", f"<noscript>{sentence()}</noscript>", f"<dialog><p>{text()}</p></dialog>"])
         return f"<form><label>{say(1, 3)}</label><input name=q><p>{text()}</p><button>{say(1, 2)}</button></form>"
 
     def comments() -> str:
@@ -167,8 +207,15 @@ def labelled_page(rng: random.Random) -> tuple[str, list[str]]:
         kind = rng.choice(["comments", "comment-list", "replies", "discussion", "responses", "disqus", "reviews"])
         return rng.choice([f'<section class="{kind}"><h2>{say(1, 2)}</h2>', f'<div id="{kind}">', f'<ol class="{kind}">']) + "".join(one() for _ in range(rng.randint(1, 5))) + rng.choice(["</section></div></ol>", "</section>", "</div>"])
 
+    def lines() -> str:
+        """Verse, scores and the like: short lines, some again and again."""
+        again, own = sentence(), rng.choice([lambda: say(1, 4), lambda: say(1, 3) + ".", lambda: say(2, 8)])
+        return "".join(rng.choice(["<p>{}", "<p>{}</p>", "<div>{}</div>"]).format(keep(again if rng.random() < 0.5 else own())) for _ in range(rng.randint(5, 50)))
+
     def body() -> str:
         out = [f"<h1>{keep(rng.choice([say(2, 9), sentence()]))}</h1>"] if rng.random() < 0.9 else []
+        if rng.random() < 0.3:
+            out.append(lines())
         for _ in range(rng.randint(1, 14)):
             r = rng.random()
             if r < 0.6:
@@ -190,12 +237,24 @@ def labelled_page(rng: random.Random) -> tuple[str, list[str]]:
                 out.append(rng.choice([aside, aside, form])())
         return "".join(out)
 
-    wrap = rng.choice([("<article>", "</article>"), ("<article>", "</article>"), ("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<div class="content">', "</div>"), ('<div id="main-content" class="post">', "</div>"), ('<div class="entry">', "</div>"), ('<section class="story">', "</section>")])
+    def plain() -> tuple[str, str]:
+        """Wrappers whose names say little or mislead."""
+        name = lambda: rng.choice([word(), "wrapper", "container", "container-fluid", "row", "col-md-8", "col-lg-9", "page", "site", "inner", "left", "center", "box", "grid", "app", "root", "layout", f"{word()}-{word()}"])
+        opened = [rng.choice([f'<div class="{name()}">', f'<div id="{name()}">', f'<div class="{name()} {name()}">', "<div>", f'<section class="{name()}">']) for _ in range(rng.randint(1, 3))]
+        return "".join(opened), "".join("</section>" if x.startswith("<section") else "</div>" for x in reversed(opened))
+
+    def named() -> tuple[str, str]:
+        kind = rng.choice(["meta", "header", "post", "entry", "promo", "tags", "share", "featured", "sticky", "format", "type", word()])
+        return rng.choice([f'<article class="{kind}-article">', f'<article class="post {kind}-{word()}">', f'<article id="{kind}" class="{word()}">', f'<main class="{kind}-{word()}">']), "</article></main>"
+
+    wrap = plain() if rng.random() < 0.3 else named() if rng.random() < 0.25 else rng.choice([("<article>", "</article>"), ("<article>", "</article>"), ("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<div class="content">', "</div>"), ('<div id="main-content" class="post">', "</div>"), ('<div class="entry">', "</div>"), ('<section class="story">', "</section>")])
     before = "".join(rng.choice([menu, menu, aside, form])() for _ in range(rng.randint(0, 3)))
     after = "".join(rng.choice([aside, comments, comments, menu, form])() for _ in range(rng.randint(0, 3)))
     foot = rng.choice([f"<footer>&copy; {word()} {say(2, 12)}</footer>", f'<div class="footer"><p>{text()}</p></div>', f"<footer><p>{text()}</p><ul><li><a href=/>{say(1, 2)}</a></li></ul></footer>", ""])
     top = rng.choice(["", f"<header><h2>{say(1, 4)}</h2><p>{say(2, 8)}</p></header>", f'<div class="header">{say(1, 5)}</div>'])
-    page = f"<html><head><title>{say(2, 5)}</title></head><body>{top}{before}{wrap[0]}{body()}{wrap[1]}{after}{foot}</body></html>"
+    outer = plain() if rng.random() < 0.4 else ("", "")
+    head = rng.choice([f"<head><title>{say(2, 5)}</title></head><body>", f"<head><title>{say(2, 5)}</title><body>", f"<title>{say(2, 5)}</title>"])
+    page = f"<html>{head}{outer[0]}{top}{before}{wrap[0]}{body()}{wrap[1]}{after}{foot}{outer[1]}</body></html>"
     return page, main
 
 
@@ -233,7 +292,7 @@ class Chain:
 def train(pages: list[tuple[str, list[str]]], steps: int = STEPS, penalty: float = 1e-3) -> Chain:
     """Gradient ascent (Adam) on the conditional log-likelihood; all pages go through the lattice together."""
     names: dict[str, int] = {}
-    rows = []
+    rows, rng = [], random.Random(SEED)
     for page, main in pages:
         blocks = leaf_blocks(page)
         if not blocks:
@@ -244,13 +303,17 @@ def train(pages: list[tuple[str, list[str]]], steps: int = STEPS, penalty: float
             labels.append(int(own))
             if own:
                 left.pop(0)
-        rows.append(([[names.setdefault(x, len(names)) for x in f] for f in block_features(blocks)], labels))
+        # A word of a class or id is left out of some pages, so that no single one is trusted too much.
+        features = block_features(blocks)
+        dropped = {x for x in {x for f in features for x in f if x.startswith("c=")} if rng.random() < DROPPED}
+        rows.append(([[names.setdefault(x, len(names)) for x in f if x not in dropped] for f in features], labels))
     n, longest, width = len(rows), max(len(r[1]) for r in rows), len(names)
-    x, y, real = np.zeros((n, longest, width), np.float32), np.zeros((n, longest), int), np.zeros((n, longest), bool)
-    for i, (features, labels) in enumerate(rows):
-        for t, f in enumerate(features):
-            x[i, t, f] = 1
+    y, real = np.zeros((n, longest), int), np.zeros((n, longest), bool)
+    for i, (_, labels) in enumerate(rows):
         y[i, : len(labels)], real[i, : len(labels)] = labels, True
+    held = [f for features, _ in rows for f in features]  # in the order of the places where ``real`` is true
+    sizes = np.array([len(f) for f in held])
+    flat, starts = np.concatenate([np.array(f) for f in held]), np.cumsum(sizes) - sizes
     w, moves = np.zeros(width), np.zeros((2, 2))
     both = real[:, 1:]
     seen = np.array([[((y[:, :-1] == a) & (y[:, 1:] == b) & both).sum() for b in (0, 1)] for a in (0, 1)], float)
@@ -258,8 +321,7 @@ def train(pages: list[tuple[str, list[str]]], steps: int = STEPS, penalty: float
     add = lambda a, axis: np.logaddexp.reduce(a, axis=axis)
     for step in range(1, steps + 1):
         emit = np.zeros((n, longest, 2))
-        emit[:, :, 1] = x @ w
-        emit[~real] = 0
+        emit[real, 1] = np.add.reduceat(w[flat], starts)
         ahead = np.zeros((n, longest, 2))
         ahead[:, 0] = emit[:, 0]
         for t in range(1, longest):
@@ -270,7 +332,7 @@ def train(pages: list[tuple[str, list[str]]], steps: int = STEPS, penalty: float
             behind[:, t] = np.where(real[:, t + 1, None], add(moves + (emit[:, t + 1] + behind[:, t + 1])[:, None, :], 2), 0)
         here = np.exp(ahead + behind - total[:, None, None])[:, :, 1] * real
         pair = np.exp(ahead[:, :-1, :, None] + moves + (emit[:, 1:] + behind[:, 1:])[:, :, None, :] - total[:, None, None, None]) * both[:, :, None, None]
-        grads = [np.tensordot((y * real - here).astype(np.float32), x, 2) / n - penalty * w, (seen - pair.sum((0, 1))) / n - penalty * moves]
+        grads = [np.bincount(flat, np.repeat((y - here)[real], sizes), width) / n - penalty * w, (seen - pair.sum((0, 1))) / n - penalty * moves]
         for k, (value, g) in enumerate(((w, grads[0]), (moves, grads[1]))):
             first, second = state[2 * k], state[2 * k + 1]
             first += 0.1 * (g - first)
@@ -291,7 +353,7 @@ def default_chain() -> Chain:
 
 
 def main_text(page: str, chain: Chain) -> str:
-    blocks = leaf_blocks(page)
+    blocks = leaf_blocks(page, chain.names)
     if not blocks:
         return ""
     return "\n".join(b.text for b, y in zip(blocks, chain.decode(block_features(blocks)), strict=True) if y)

@@ -55,3 +55,36 @@ def test_tag_soup():
     blocks = html_pages.leaf_blocks("<ul><li>a<li>b</ul><p>c<p>d <b>e</b>f<div class='x y'>g<!-- <p> --> h</div><style>p{}</style><h2>i</h2>tail")
     assert [b.text for b in blocks] == ["a", "b", "c", "d ef", "g h", "i", "tail"]
     assert {"c=x", "c=y", "in=div"} <= blocks[4].marks
+
+
+P = "The quick brown fox runs over the hill, and away from all of them. " * 3
+
+
+def read(page):
+    return html_pages.main_text(page, html_pages.default_chain())
+
+
+def test_open_and_embedded_elements():
+    p = P.strip()
+    assert read(f"<html><head><title>x</title><meta charset=utf-8><body><header>y</header><article><h1>Head line</h1><p>{P}</p></article></body>") == f"Head line\n{p}"
+    assert read(f"<article><h1>Head line</h1><p>{P}<button>Share<p>{P}</article>") == f"Head line\n{p}\n{p}"
+    assert read(f"<article><p>{P} where <math><mi>x</mi></math> is <svg><text>no</text></svg>small.</p></article>") == f"{p} where x is small."
+    assert read(f"<article><p>{P}</p><script>a</SCRIPT ><p>{P}</p><style>b</p></article>") == f"{p}\n{p}"
+
+
+def test_places_and_quotes():
+    dots = "\u0130" * 10
+    assert read(f"<article><p>{dots}<script>x='<p>'</script>Text. {P}</p></article>") == f"{dots} Text. {P.strip()}"
+    assert read(f"<article><p title=it's>{P}</p><p>It's {P}</p></article>") == f"{P.strip()}\nIt's {P.strip()}"
+
+
+def test_layouts_of_other_names():
+    for before, after in (("<div class='wrapper'><div class='col-md-8'>", "</div></div>"), ('<article class="post meta-article">', "</article>"), ("<div><section class='xyz'>", "</section></div>")):
+        page = f"<html><body><nav><ul><li><a href=x>Home</a></ul></nav>{before}<h1>Title of page</h1><p>{P}</p><p>{P}</p>{after}<div class=sidebar><p>{P}</p></div><footer>z</footer>"
+        assert read(page) == f"Title of page\n{P.strip()}\n{P.strip()}"
+
+
+def test_deep_pages_take_memory_in_proportion():
+    deep = "".join(f"<div class=a{i}>" for i in range(30_000)) + "".join(f"<p>t{i}" for i in range(2_000))
+    blocks = html_pages.leaf_blocks(deep, html_pages.default_chain().names)
+    assert len(blocks) == 2_000 and max(len(b.marks) for b in blocks) < 10
