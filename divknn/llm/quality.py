@@ -1,13 +1,16 @@
 """Quality rules whose cutoffs carry a proof.
 
-A rule rejects a document whose score is at or above a cutoff. For each stratum (language) and rule the
-cutoff is chosen on the labelled rows: walking from the most lenient cutoff down, each one is accepted
-while an exact binomial test shows, at the level left by a Bonferroni split over strata and rules, that
-the rule rejects at most ``alpha`` of the good documents (fixed-sequence testing: no further correction
-is needed along the walk). A stratum with too few good labels for ``alpha`` takes the smallest share that
-its number of good labels can prove instead, which lets the walk go on only while no good one is rejected;
-the number is known before any score is looked at. Where even ``most`` is beyond proof nothing is certified
-and everything is kept. Rows without a language are a stratum of their own.
+A rule rejects a document whose score is at or above a cutoff. The promise is one for each stratum
+(language, and rows without one): with probability 1 - ``delta`` over all strata together, the rules of a
+stratum reject at most ``alpha`` of its good documents. It is spent evenly over the rules tested there, the
+level over strata and rules (Bonferroni). For each rule the cutoff is chosen on the labelled rows: walking
+from the most lenient cutoff down, each one is accepted while an exact binomial test shows that the rule
+rejects at most its part of ``alpha`` (fixed-sequence testing: no further correction along the walk).
+
+How many rules a stratum tests follows from its number of good labels alone, before any score is looked
+at: as many of ``RULES``, in that order, as could be certified at all if no good document were rejected.
+Too few labels for one rule certify nothing, and only the base rule acts there; ``strata_report`` and the
+column ``certified`` say where.
 
 Statistics cover whole texts. A null text has no words. An empty table gives no rows; without labels
 only the base rule acts; repeated rows are judged one by one; other columns pass unread.
@@ -23,15 +26,15 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import SPACE, runs_of, saved, text_slices, table, word_codes
 
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper")
 RULES = ("symbols", "repeats", "dup_lines", "upper", "short")
 BINS = 400
-ALPHA, DELTA, WINDOW = 0.004, 0.05, 8
-#: The loosest share of good documents that a small stratum may be certified for.
-MOST = 0.02
+#: Share of the good documents of a stratum that all its rules together may reject; chance that this fails anywhere.
+ALPHA, DELTA, WINDOW = 0.02, 0.05, 8
 
 _SYMBOL = np.zeros(256, bool)
 _SYMBOL[list(b"#*$%&|<>")] = True
@@ -136,59 +139,82 @@ def walk(good: np.ndarray, bad: np.ndarray, alpha: float, level: float) -> int |
     return best
 
 
-def provable(n: int, alpha: float, level: float) -> float:
-    """``alpha``, or the smallest share that ``n`` good labels can prove at ``level`` if that is larger."""
-    return max(alpha, -math.expm1(math.log(level) / n) * (1 + 1e-9)) if n else 1.0
+def testable(n: int, strata: int, alpha: float, delta: float) -> int:
+    """How many rules ``n`` good labels can certify, each for an even part of ``alpha`` and of the level."""
+    fits = [j for j in range(1, len(RULES) + 1) if n * math.log1p(-alpha / j) <= math.log(delta / (max(1, strata) * j))]
+    return max(fits, default=0)
 
 
-def certified_cutoffs(rows: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA, most: float = MOST) -> dict[str | None, dict[str, int]]:
-    """{stratum: {rule: cutoff}} from the labelled rows; only counts by stratum, rule and bin reach the driver."""
+def _counts(rows: DataFrame, labels: DataFrame) -> dict[str | None, dict[str, np.ndarray]]:
+    """{stratum: {rule: (good, bad) by bin}}; only counts by stratum, rule and bin reach the driver."""
     marks = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     held = rows.where("not base_failed").join(marks, "doc_id")
     long = held.select("lang", "quality", F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.col(f"s_{r}").alias("bin")) for r in RULES])).alias("x"))
     counts = long.groupBy("lang", "x.rule", "x.bin").agg(F.sum(F.when(F.col("quality") == 1, 1).otherwise(0)).alias("good"), F.sum(F.when(F.col("quality") == 0, 1).otherwise(0)).alias("bad")).collect()
-    hist: dict[tuple[str | None, str], np.ndarray] = {}
+    out: dict[str | None, dict[str, np.ndarray]] = {}
     for lang, rule, at, good, bad in counts:
-        hist.setdefault((lang, rule), np.zeros((2, BINS + 1), np.int64))[:, at] += (good, bad)
-    level = delta / max(1, len(hist))
+        out.setdefault(lang, {}).setdefault(rule, np.zeros((2, BINS + 1), np.int64))[:, at] += (good, bad)
+    return out
+
+
+def certified_cutoffs(rows: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> dict[str | None, dict[str, int]]:
+    """{stratum: {rule: cutoff}} from the labelled rows. A stratum whose rules may be tested is there even if none found a cutoff."""
+    held = _counts(rows, labels)
     out: dict[str | None, dict[str, int]] = {}
-    for (lang, rule), (good, bad) in hist.items():
-        share = provable(int(good.sum()), alpha, level)
-        if share <= max(alpha, most) and (t := walk(good, bad, share, level)) is not None:
-            out.setdefault(lang, {})[rule] = t
+    for lang, by_rule in held.items():
+        tested = testable(int(next(iter(by_rule.values()))[0].sum()), len(held), alpha, delta)
+        if tested:
+            found = {rule: walk(*by_rule[rule], alpha / tested, delta / (len(held) * tested)) for rule in RULES[:tested]}
+            out[lang] = {rule: t for rule, t in found.items() if t is not None}
     return out
 
 
-def verdict(cutoffs: dict[str | None, dict[str, int]]):
+def strata_report(docs: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:
+    """(lang, n_good, n_rules tested, rule, cutoff bin) of each stratum with labels; rule and cutoff are null where none is certified."""
+    rows = saved(scored(docs))
+    held, cutoffs = _counts(rows, labels), certified_cutoffs(rows, labels, alpha, delta)
+    out = []
+    for lang, by_rule in held.items():
+        n = int(next(iter(by_rule.values()))[0].sum())
+        out += [(lang, n, testable(n, len(held), alpha, delta), rule, t) for rule, t in (cutoffs.get(lang) or {None: None}).items()]
+    return docs.sparkSession.createDataFrame(out, "lang string, n_good long, n_rules int, rule string, cutoff int")
+
+
+def verdict(cutoffs: dict[str | None, dict[str, int]], of: str = ""):
     """Column: true unless the base rule or a certified one rejects."""
-    failed = F.col("base_failed")
+    failed = F.col(f"{of}base_failed")
     for lang, rules in cutoffs.items():
         for rule, t in rules.items():
-            failed = failed | (F.col("lang").eqNullSafe(F.lit(lang).cast("string")) & (F.col(f"s_{rule}") >= t))
+            failed = failed | (F.col(f"{of}lang").eqNullSafe(F.lit(lang).cast("string")) & (F.col(f"{of}s_{rule}") >= t))
     return ~failed
 
 
 def quality_report(docs: DataFrame, labels: DataFrame) -> DataFrame:
     rows = saved(scored(docs))
-    return rows.select("doc_id", *STATS[:5], "base_failed", verdict(certified_cutoffs(rows, labels)).alias("kept"), "lang")
+    cutoffs = certified_cutoffs(rows, labels)
+    certified = F.lit(False)
+    for lang in cutoffs:
+        certified = certified | F.col("lang").eqNullSafe(F.lit(lang).cast("string"))
+    return rows.select("doc_id", *STATS[:5], "base_failed", verdict(cutoffs).alias("kept"), "lang", certified.alias("certified"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of ``docs`` that pass, unchanged. Scores are recomputed beside the text: no join, no shuffle."""
-    cutoffs = certified_cutoffs(saved(scored(docs)), labels)
+    """The rows of ``docs`` that pass, unchanged. Scores are written beside the text once: no join, no shuffle of texts."""
+    beside = next(f"scores{i or ''}" for i in range(len(docs.columns) + 1) if f"scores{i or ''}" not in [c.lower() for c in docs.columns])
+    fields = [f.split() for f in _SCORED.split(", ")]
 
-    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            langs = batch.column("lang").to_pylist()
             for a, b, texts in text_slices(batch):
-                s = text_stats(texts)
-                failed, marks = base_failed(s), scores(s)
-                for rule in RULES:
-                    limit = np.array([cutoffs.get(x, {}).get(rule, BINS + 1) for x in langs[a:b]])
-                    failed |= marks[rule] >= limit
-                yield batch.slice(a, b - a).filter(pa.array(~failed))
-
-    return docs.mapInArrow(keep, docs.schema)
+                s, part = text_stats(texts), batch.slice(a, b - a)
+                values = [part.column("doc_id").cast(pa.int64()), part.column("lang").cast(pa.string())] + [pa.array(s[c].astype(np.int64)) for c in STATS]
+                values += [pa.array(base_failed(s))] + [pa.array(v.astype(np.int32)) for v in scores(s).values()]
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.StructArray.from_arrays(values, names=[n for n, _ in fields])], names=[*batch.schema.names, beside])
+
+    both = T.StructType([*docs.schema.fields, T.StructField(beside, T.StructType.fromDDL(_SCORED))])
+    rows = saved(docs.mapInArrow(score, both))
+    cutoffs = certified_cutoffs(rows.select(f"{beside}.*"), labels)
+    return rows.where(verdict(cutoffs, f"{beside}.")).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
