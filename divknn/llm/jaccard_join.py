@@ -4,22 +4,20 @@ Token space is cut into K slices by a hash; order k puts the tokens of slice k f
 under order k is its part in slice k, kept as one hash. Two sets of sizes n and m with a Jaccard
 similarity of at least t differ in at most d = (n + m)(1 - t) / (1 + t) tokens, and each such token
 spoils the agreement under one order only, so linked sets share their prefix under K - d orders at
-least. K exceeds the largest d of a size class by two: a pair is found by any shared prefix, kept if it
-agrees under all the orders that it must, and only then verified by its whole sets. No link is lost.
+least. K exceeds the largest d of a size class by a few spare ones: a pair is found by any shared prefix,
+kept if it agrees under all the orders that it must, and only then verified by its whole sets. No link is
+lost.
 
 Sizes are in classes; a set that may have a partner in the class below is also cut as that class is.
-Empty parts are no keys (they would be shared by strangers); sets that have one also carry the classic
-prefix of one order, so that pairs which agree in empty parts alone still meet.
+Empty parts are no keys (they would be shared by strangers). There are more spare orders than a set has
+empty parts, so linked sets agree in one that is not empty; the few sets with as many empty parts as spare
+orders also carry the classic prefix of one order, so that pairs which agree in empty parts alone still meet.
 
-Sets that are equal form one node. Pairs that share a key are counted by the orders under which they
-agree; those that agree enough are held against parity sketches - bit b says whether the set has an odd
-number of tokens of hash b - which differ in d bits at most for linked sets; whole sets meet last.
-
-Where many nodes share a key, each is compared with one hub alone. What sets it apart from its hub is a
-small set of tokens, and two nodes of a hub that are not both linked to it can only be linked if they
-share about half of those. So the nodes of a hub are joined anew by prefixes of these differences, the
-tokens that the hub lacks first; a group of copies costs comparisons in proportion to its size, and no
-link is lost. Hubs of differences are formed ``DEPTH`` times.
+Sets that are equal form one node. Nodes that share keys go to the group of their heaviest neighbour and
+are compared by way of the group's centre, so that a group of copies costs in proportion to its size (see
+``centres``). Pairs of different groups are counted by the orders under which they agree; those that agree
+enough are held against parity sketches - bit b says whether the set has an odd number of tokens of hash
+b - which differ in d bits at most for linked sets; whole sets meet last.
 
 Shingles are 64-bit hashes of word hashes. Null or empty texts have an empty set and link with nothing.
 A null ``doc_id`` counts as no candidate for the smallest id. Repeated rows are one node. Other columns
@@ -28,7 +26,9 @@ are not read.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+from statistics import NormalDist
 
 import numpy as np
 import pyarrow as pa
@@ -36,21 +36,22 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import _mix, gram_hashes, saved, text_slices, table, word_hashes
+from .centres import hubs, linked_in_groups
 from .components import connected
 
 SHINGLE, PERCENT = 3, 90
 #: What the stage of the pipeline takes; the pair above is the contract of op3_jaccard_join alone.
 STAGE_SHINGLE, STAGE_PERCENT = 5, 80
-CLASS_RATIO = 1.5
-_SIGNED = "doc_id long, row long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>"
-#: Keys with more nodes are compared by way of a hub; how often hubs are formed anew.
-MANY, DEPTH = 8, 4
+CLASS_RATIO = 1.25
+#: Share of the sets of a class that may need keys besides their slices.
+RARE = 0.05
+_SIGNED = "doc_id long, row long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>, need_own int, need_below int"
 #: Bits of a set's parity sketch.
 SKETCH = 4096
 
 
 class Classes:
-    """Size classes, each with the number of slices its sets are cut into."""
+    """Size classes, each with the number of slices its sets are cut into: ``spare`` more than linked sets can differ in."""
 
     def __init__(self, percent: int):
         self.percent = percent
@@ -59,7 +60,27 @@ class Classes:
         while self.starts[-1] < 1 << 40:
             self.starts.append(int(self.starts[-1] * CLASS_RATIO) + 1)
         self.starts = np.array(self.starts)
-        self.slices = np.array([self.most(int(e) - 1, (int(e) - 1) * 100 // percent) + 2 for e in self.starts[1:]])
+        differ = [self.most(int(e) - 1, (int(e) - 1) * 100 // percent) for e in self.starts[1:]]
+        self.spare = np.array([self._spare(d, int(n)) for d, n in zip(differ, self.starts, strict=False)])
+        self.slices = np.array(differ) + self.spare
+
+    @staticmethod
+    def _spare(differ: int, n: int) -> int:
+        """The least that makes sets of the class's least size with as many empty slices rare (their number is about Poisson)."""
+
+        def share(spare: int) -> float:
+            mean = (differ + spare) * math.exp(-n / (differ + spare))
+            if mean > 50 or spare > 100:
+                return 1 - NormalDist(mean, math.sqrt(mean) + 1e-9).cdf(spare - 0.5)
+            term, under = math.exp(-mean), 0.0
+            for i in range(spare):
+                under, term = under + term, term * mean / (i + 1)
+            return 1 - under
+
+        tried = [2]
+        while tried[-1] < 3 + differ // 4:
+            tried.append(tried[-1] + 1 + tried[-1] // 16)
+        return next((x for x in tried if share(x) <= RARE), min(tried, key=share))
 
     def most(self, n: int, m: int) -> int:
         """Most tokens in which linked sets of these sizes differ."""
@@ -151,15 +172,11 @@ def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFra
                 keys, edge = _part_keys(grams, who, np.where(c >= 0, classes.slices[c], 0), c)
                 low = classes.has_below(n, c)
                 keys2, edge2 = _part_keys(grams, who, np.where(low, classes.slices[np.maximum(c - 1, 0)], 0), c - 1)
-                hollow = np.zeros(b - a, bool)
-                hollow[np.repeat(np.arange(b - a), np.diff(edge))[keys == 0]] = True
-                hollow[np.repeat(np.arange(b - a), np.diff(edge2))[keys2 == 0]] = True
-                rest, rest_n = [np.zeros(0, np.uint64)], np.zeros(b - a, np.int64)
-                for i in np.flatnonzero(hollow):  # longest shingles first: a fixed order, and those are rare
-                    s, e = offsets[i], offsets[i + 1]
-                    rest_n[i] = n[i] - (n[i] * percent + 99) // 100 + 1
-                    rest.append(_mix(grams[s:e][np.lexsort((grams[s:e], -long[s:e]))[: rest_n[i]]] + np.uint64(0xFEED)))
-                cols = [ids[a:b], batch.column("row")[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(np.concatenate(rest), np.concatenate(([0], np.cumsum(rest_n))))]
+                empty, empty2 = (np.bincount(np.repeat(np.arange(b - a), np.diff(e))[k == 0], minlength=b - a) for k, e in ((keys, edge), (keys2, edge2)))
+                hollow = ((c >= 0) & (empty >= classes.spare[c])) | (low & (empty2 >= classes.spare[np.maximum(c - 1, 0)]))
+                rest = np.where(hollow, n, 0)
+                need, need2 = np.maximum(classes.spare[c] - empty, 1), np.maximum(classes.spare[np.maximum(c - 1, 0)] - empty2, 1)
+                cols = [ids[a:b], batch.column("row")[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(grams[hollow[who]], np.concatenate(([0], np.cumsum(rest)))), pa.array(need.astype(np.int32)), pa.array(need2.astype(np.int32))]
                 yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in _SIGNED.split(", ")])
 
     return docs.select(F.col("doc_id").cast("long"), "text", _row().alias("row")).mapInArrow(sign, _SIGNED)
@@ -214,76 +231,49 @@ def _verified(pairs: DataFrame, facts: DataFrame, sets: DataFrame, percent: int)
     return saved(both.where(100 * common >= percent * union).select("a", "b"))
 
 
-def _hubs(keys: DataFrame) -> DataFrame | None:
-    """(node, hub) for nodes of keys with many: of the keys' heaviest nodes the heaviest; a node weighs what its keys hold."""
-    sizes = saved(keys.groupBy("key").agg(F.count_distinct("node").alias("n")))
-    if not sizes.where(F.col("n") > MANY).limit(1).count():
-        return None
-    weight = saved(keys.select("key", "node").distinct().join(sizes, "key").groupBy("node").agg(F.sum("n").alias("w")))
-    big = keys.select("key", "node").join(saved(sizes.where(F.col("n") > MANY).select("key")), "key")
-    pivot = saved(big.join(weight, "node").groupBy("key").agg(F.max(F.struct("w", "node")).alias("p")))
-    found = big.join(pivot, "key").groupBy("node").agg(F.max("p").alias("p")).select("node", F.col("p.node").alias("hub"))
-    return saved(found.where("node <> hub"))
+def _links(met: DataFrame, facts: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) that connect what links connect; met: (key, node, c)."""
+    hub_of = hubs(met)
+    named = met.join(hub_of, "node")
+    x, y = named.alias("x"), named.alias("y")
+    apart = (F.col("x.hub") != F.col("y.hub")) & (F.col("x.hub") != F.col("y.node")) & (F.col("y.hub") != F.col("x.node"))
+    meet = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & apart
+    found = _verified(x.join(y, meet).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"), F.col("x.c").alias("c")), facts, sets, percent)
+    for edges in linked_in_groups(hub_of, sets, percent):
+        found = found.unionByName(edges)
+    return found
 
 
-def _differences(hub_of: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """(node, hub, n, linked, delta): tokens that node or hub alone has, those that the hub lacks first."""
-    s, t = sets.select("node", "tokens").alias("s"), sets.select(F.col("node").alias("hub"), F.col("tokens").alias("hub_tokens")).alias("t")
-    both = hub_of.join(s, "node").join(t, "hub")
-    both = both.withColumn("added", F.array_sort(F.array_except("tokens", "hub_tokens"))).withColumn("gone", F.array_sort(F.array_except("hub_tokens", "tokens")))
-    union = F.size("hub_tokens") + F.size("added")
-    return saved(both.select("node", "hub", F.size("tokens").alias("n"), (100 * (union - F.size("added") - F.size("gone")) >= percent * union).alias("linked"), F.concat("added", "gone").alias("delta")))
+def _rarest(nodes: DataFrame, percent: int) -> DataFrame:
+    """Keys (node, key, c = -1) of the sets that are named by tokens: the prefix of one order, rarest first among those sets."""
+    rows = nodes.where(F.size("rest") > 0).select("node", F.size("rest").alias("n"), F.explode("rest").alias("token"))
+    often = saved(rows.groupBy("token").agg(F.count("*").alias("f")).where("f > 1"))
+    held = rows.join(often, "token").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("f", "token"))).alias("held"))
+    # Tokens that no other such set has come first and meet nobody.
+    length = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1 - (F.col("n") - F.size("held"))
+    first = F.slice("held", 1, F.least(F.size("held"), F.greatest(length, F.lit(0))).cast("int"))
+    return held.select("node", F.explode(F.transform(first, lambda t: t["token"])).alias("token")).select("node", F.xxhash64("token", F.lit("rest")).alias("key"), F.lit(-1).alias("c"), F.lit(1).alias("need"))
 
 
-def _difference_keys(deltas: DataFrame, percent: int) -> DataFrame:
-    """(key, node, c, role): nodes of one hub that can be linked share a key.
+def _shared(posted: DataFrame) -> DataFrame:
+    """Rows (node, key, c, need) whose key another node has, of nodes with as many such keys in the cut as any linked pair agrees in.
 
-    Let y not be linked to the hub. A partner x shares with y at least about half of its own difference,
-    so a prefix of the other half and one is enough; y shares all of its difference but d tokens at least
-    with partners that are linked to the hub, so a prefix of d + 1 is.
+    A set needs its spare orders less its empty parts: who shares fewer is linked with nobody by that cut.
     """
-    size, ratio = F.size("delta"), (100 + percent) // (100 - percent)
-    half = size - F.ceil((size + 1 - F.ceil(size / ratio)) / 2) + 1
-    most = F.floor((F.col("n") + F.floor(F.col("n") * 100 / percent)) * (100 - percent) / (100 + percent))
-    long = size - F.greatest(F.lit(1), size - most) + 1
-    row = lambda kind, n: F.transform(F.slice("delta", 1, n.cast("int")), lambda v: F.struct(F.xxhash64("hub", v, F.lit(kind)).alias("key"), F.lit(kind).alias("role")))
-    # Unlinked pairs meet in kind 0; an unlinked node (2) and a linked one (1) in keys of kind 1.
-    mixed = F.transform(F.slice("delta", 1, F.when(F.col("linked"), half).otherwise(long).cast("int")), lambda v: F.struct(F.xxhash64("hub", v, F.lit(1)).alias("key"), F.when(F.col("linked"), 1).otherwise(2).alias("role")))
-    keys = F.when(F.col("linked"), mixed).otherwise(F.concat(row(0, half), mixed))
-    return deltas.where(size > 0).select("node", F.explode(keys).alias("k")).select("k.key", "node", F.lit(-1).alias("c"), "k.role")
-
-
-def _links(keys: DataFrame, facts: DataFrame, sets: DataFrame, percent: int, depth: int = 0) -> DataFrame:
-    """Linked pairs (a, b) among nodes that share a key; keys: (key, node, c[, role])."""
-    keys = keys if "role" in keys.columns else keys.withColumn("role", F.lit(0))
-    if depth:
-        shared = saved(keys.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))
-        keys = saved(keys.join(shared, "key"))
-    hub_of = _hubs(keys) if depth < DEPTH else None
-    if hub_of is not None:  # a hub serves those that are mostly like it
-        deltas = _differences(hub_of, sets, percent)
-        hub_of = deltas.where(F.size("delta") <= F.col("n")).select("node", "hub")
-    named = keys.join(hub_of, "node", "left") if hub_of is not None else keys.withColumn("hub", F.lit(None).cast("long"))
-    x, y = named.alias("x"), named.alias("y")
-    meet = (F.col("x.key") == F.col("y.key")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.role") + F.col("y.role")).isin(0, 3)
-    apart = ~F.coalesce(F.col("x.hub") == F.col("y.hub"), F.lit(False)) & ~F.coalesce(F.col("x.hub") == F.col("y.node"), F.lit(False)) & ~F.coalesce(F.col("y.hub") == F.col("x.node"), F.lit(False))
-    found = _verified(x.join(y, meet & apart).select(F.col("x.node").alias("a"), F.col("y.node").alias("b"), F.col("x.c").alias("c")), facts, sets, percent)
-    if hub_of is None:
-        return found
-    deltas = deltas.where(F.size("delta") <= F.col("n"))
-    found = found.unionByName(deltas.where("linked").select(F.col("node").alias("a"), F.col("hub").alias("b")))
-    return found.unionByName(_links(_difference_keys(deltas, percent), facts, sets, percent, depth + 1))
+    keys = saved(posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))  # apart, so that a hot key can be split in the join
+    met = saved(posted.join(keys, "key"))
+    enough = met.groupBy("node", "c").agg(F.count("*").alias("n"), F.max("need").alias("need")).where("n >= need").select("node", "c")
+    return saved(met.join(enough, ["node", "c"], "left_semi"))
 
 
 def _components(docs: DataFrame, percent: int, k: int) -> tuple[DataFrame, DataFrame]:
     """(signed rows; (node, comp) of the nodes that are linked with others)."""
     rows = saved(signed(docs, percent, k))
-    nodes = rows.where("node is not null").select("node", "size_class", "own", "below", "rest").dropDuplicates(["node"])
-    key = lambda x, c: F.struct(x.alias("key"), c.alias("c"))
-    keys = F.concat(F.transform("own", lambda x: key(x, F.col("size_class"))), F.transform("below", lambda x: key(x, F.col("size_class") - 1)), F.transform("rest", lambda x: key(x, F.lit(-1))))
-    posted = nodes.select("node", F.explode(keys).alias("k")).select("node", "k.key", "k.c").where("key <> 0")
-    shared = saved(posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))  # apart, so that a hot key can be split in the join
-    met = saved(posted.join(shared, "key"))
+    nodes = rows.where("node is not null").select("node", "size_class", "own", "below", "rest", "need_own", "need_below").dropDuplicates(["node"])
+    key = lambda x, c, need: F.struct(x.alias("key"), c.alias("c"), F.col(need).alias("need"))
+    keys = F.concat(F.transform("own", lambda x: key(x, F.col("size_class"), "need_own")), F.transform("below", lambda x: key(x, F.col("size_class") - 1, "need_below")))
+    posted = nodes.select("node", F.explode(F.filter(keys, lambda k: k["key"] != 0)).alias("k")).select("node", "k.key", "k.c", "k.need").unionByName(_rarest(nodes, percent))
+    met = _shared(_shared(posted)).select("node", "key", "c")
     wanted = saved(rows.join(met.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")))
     sets = saved(_node_sets(docs, wanted, k))
     facts = saved(_facts(rows, wanted))
