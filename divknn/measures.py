@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pyarrow as pa
 from divknn.operators.baselines import CellIndex, Visits, cell_candidates
 from divknn.operators.index import Index
 from divknn.operators.search import candidates, touched_leaves
-from pyspark.sql import DataFrame
+from divknn.operators.vectors import matrix_of, sub_batches
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -22,6 +24,14 @@ def timed(work: Callable[[], DataFrame]) -> tuple[DataFrame, float]:
     return out, time.perf_counter() - began
 
 
+def task_seconds(spark: SparkSession) -> float:
+    """Seconds that tasks have run so far on all executors, their Python included: the work of a search, whatever its wall time."""
+    jvm, sc = spark.sparkContext._jvm, spark.sparkContext
+    sc._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+    return sum(stages.apply(i).executorRunTime() for i in range(stages.size())) / 1000
+
+
 def overall_ratio(result: DataFrame, truth: DataFrame) -> DataFrame:
     """(qid, ratio, undefined): mean over ranks of returned over true divergence. 0/0 counts as 1; positive over 0 is left out and counted."""
     both = result.select("qid", "rank", F.col("divergence").alias("got")).join(truth.select("qid", "rank", F.col("divergence").alias("want")), ["qid", "rank"])
@@ -50,9 +60,8 @@ def candidate_share(index: Index, qids: np.ndarray, y: np.ndarray, r: np.ndarray
 
 def forest_index_pages(index: Index, y: np.ndarray, r: np.ndarray) -> float:
     """Pages of tree nodes looked at, a query on average; summaries are read whole and come on top."""
-    _, looked, _ = touched_leaves(index, y, r)
     per_page = max(1, index.page_bytes // (8 * max(len(b) for b in index.blocks) + 32))
-    return looked / len(y) / per_page + index.n * index.m * 16 / index.page_bytes
+    return touched_leaves(index, y, r).looked / len(y) / per_page + index.n * index.m * 16 / index.page_bytes
 
 
 def cell_pages(cells: CellIndex, layout: Index, qids: np.ndarray, y: np.ndarray, k: int) -> DataFrame:
@@ -62,30 +71,43 @@ def cell_pages(cells: CellIndex, layout: Index, qids: np.ndarray, y: np.ndarray,
 
 
 def tree_pages(index: Index, visits: Visits) -> np.ndarray:
-    """Data pages of the leaves that a tree search read, per query."""
+    """Data pages of the leaves that a tree search read, per query, from each leaf's place in the layout."""
     per_page = max(1, index.page_bytes // (4 * index.d))
-    sizes = index.trees[0].count[index.trees[0].leaf_nodes()].mean()
-    return visits.leaves * max(1.0, sizes / per_page)
+    sizes = index.trees[0].count[index.trees[0].leaf_nodes()]
+    ends = np.cumsum(sizes)
+    first, last = (ends - sizes) // per_page, np.maximum(ends - 1, 0) // per_page
+    out = np.zeros(len(visits.seen), np.int64)
+    for q, seen in enumerate(visits.seen):
+        before = -1
+        for leaf in np.flatnonzero(seen & (sizes > 0)):
+            out[q] += last[leaf] - max(first[leaf], before + 1) + 1
+            before = last[leaf]
+    return out
 
 
 def block_overlap(index: Index, qids: np.ndarray, y: np.ndarray, r: np.ndarray) -> DataFrame:
     """(qid, overlap): candidates of the blocks added up, over their union; M where all blocks agree."""
-    hits, _, _ = touched_leaves(index, y, r)
-    pairs = []
-    for j, h in enumerate(hits):
-        q, leaf = np.nonzero(h)
-        pairs += [(int(qids[a]), j, int(b)) for a, b in zip(q, leaf, strict=True)]
-    touched = index.points.sparkSession.createDataFrame(pairs, "qid long, block int, leaf int")
-    own = index.points.select("id", F.posexplode("leaves").alias("block", "leaf")).join(F.broadcast(touched), ["block", "leaf"])
-    return own.groupBy("qid").agg((F.count("*") / F.count_distinct("id")).alias("overlap"))
+    reach = touched_leaves(index, y, r)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hits, each, union = reach.masks(), np.zeros(len(qids), np.int64), np.zeros(len(qids), np.int64)
+        for b in sub_batches(batches):
+            leaves = matrix_of(b.column("leaves"))
+            own = [h.T[leaves[:, j]] for j, h in enumerate(hits)]
+            each += sum(m.sum(0) for m in own)
+            union += np.any(own, axis=0).sum(0)
+        yield pa.RecordBatch.from_arrays([pa.array(qids), pa.array(each), pa.array(union)], names=["qid", "each", "both"])
+
+    found = index.points.select("leaves").mapInArrow(count, "qid long, each long, both long").groupBy("qid").agg(F.sum("each").alias("each"), F.sum("both").alias("both"))
+    return found.where("both > 0").select("qid", (F.col("each") / F.col("both")).alias("overlap"))
 
 
 def tightness(psum: DataFrame, qsum: DataFrame, pairs: DataFrame) -> DataFrame:
     """(mean, median) of bound over divergence; pairs: (qid, id, divergence)."""
     from divknn.operators.summaries import ceiling
 
-    both = pairs.where("divergence > 1e-9").join(psum, "id").join(F.broadcast(qsum), "qid").select((ceiling() / F.col("divergence")).alias("r"))
-    return both.agg(F.avg("r").alias("mean"), F.percentile_approx("r", 0.5).alias("median"))
+    both = pairs.where("divergence > 1e-9").join(psum, "id").join(qsum, "qid").select((ceiling() / F.col("divergence")).alias("r"))
+    return both.agg(F.avg("r").alias("mean"), F.median("r").alias("median"))
 
 
 def relative_gain(old: float, new: float) -> float:

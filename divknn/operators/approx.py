@@ -7,14 +7,17 @@ m that matters with probability 1 - p only.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 from statistics import NormalDist
 
 import numpy as np
+import pyarrow as pa
 from divknn.functions.generators import Generator
 from divknn.operators.index import Index
-from divknn.operators.search import query_budgets, refine_within
-from divknn.operators.vectors import PARTIAL, best_k, check_k, each_block, empty
+from divknn.operators.search import held_by, query_budgets, refine_within
+from divknn.operators.vectors import PARTIAL, best_k, check_k, each_block, empty, matrix_of, sub_batches
+from divknn.storage import saved
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,18 +39,46 @@ class Dimensions:
         return np.where(flat, (self.p1 + self.p2) / 2, self.p1), np.where(flat, (self.p2 - self.p1) ** 2 / 12, self.p2**2)
 
 
+def dimension_stats(points: DataFrame) -> list[dict]:
+    """Count, mean, deviation, least and most of every dimension: one row a task and dimension, merged without cancellation."""
+
+    def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n, mean, sq, lo, hi = 0, 0.0, 0.0, np.inf, -np.inf
+        for b in sub_batches(batches, 1 << 15):
+            x = matrix_of(b.column("vec"))
+            if len(x):
+                own, more = x.mean(0), len(x)
+                sq = sq + ((x - own) ** 2).sum(0) + (own - mean) ** 2 * (n * more / (n + more))
+                mean, n = mean + (own - mean) * (more / (n + more)), n + more
+                lo, hi = np.minimum(lo, x.min(0)), np.maximum(hi, x.max(0))
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(mean))), pa.array(np.full(len(mean), n)), pa.array(mean), pa.array(sq), pa.array(lo), pa.array(hi)], names=["dim", "n", "mean", "sq", "lo", "hi"])
+
+    parts = points.select("vec").mapInArrow(sums, "dim long, n long, mean double, sq double, lo double, hi double")
+    n, total = F.sum("n"), F.sum(F.col("mean") * F.col("n"))
+    out = parts.groupBy("dim").agg(n.alias("n"), (total / n).alias("mean"), F.sum("sq").alias("within"), F.collect_list(F.struct("n", "mean")).alias("parts"), F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    between = F.aggregate("parts", F.lit(0.0), lambda a, p: a + p["n"] * (p["mean"] - F.col("mean")) * (p["mean"] - F.col("mean")))
+    rows = out.select("dim", "n", "mean", F.sqrt((F.col("within") + between) / F.col("n")).alias("sd"), "lo", "hi").collect()  # one row a dimension
+    return sorted((r.asDict() for r in rows), key=lambda r: r["dim"])
+
+
 def fit_dimensions(points: DataFrame, bins: int = 32, family: str = "auto") -> Dimensions:
     """Histogram of every dimension, then the family - normal or uniform - of least squared error against it."""
-    dims = points.select(F.posexplode("vec").alias("dim", "v"))
-    base = dims.groupBy("dim").agg(F.count("*").alias("n"), F.avg("v").alias("mean"), F.stddev_pop("v").alias("sd"), F.min("v").alias("lo"), F.max("v").alias("hi"))
-    stats = sorted(base.collect(), key=lambda r: r["dim"])  # one row a dimension
-    table = points.sparkSession.createDataFrame([(r["dim"], r["lo"], max(r["hi"] - r["lo"], 1e-300)) for r in stats], "dim int, lo double, span double")
-    bin_ = F.least(F.floor((F.col("v") - F.col("lo")) / F.col("span") * bins), F.lit(bins - 1)).cast("int")
-    counts = dims.join(F.broadcast(table), "dim").groupBy("dim", bin_.alias("bin")).count().collect()
-    d = len(stats)
+    stats = dimension_stats(points)
+    d, lo = len(stats), np.array([r["lo"] for r in stats])
+    span = np.maximum(np.array([r["hi"] for r in stats]) - lo, 1e-300)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(d * bins, np.int64)
+        for b in sub_batches(batches):
+            cell = np.minimum(np.floor((matrix_of(b.column("vec")) - lo) / span * bins), bins - 1).astype(np.int64)
+            total += np.bincount((cell + np.arange(d) * bins).ravel(), minlength=d * bins)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(d * bins)), pa.array(total)], names=["at", "n"])
+
+    counts = points.select("vec").mapInArrow(count, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).collect()  # d x bins numbers
     shares, edges = np.zeros((d, bins)), np.zeros((d, bins + 1))
     for r in counts:
-        shares[r["dim"], r["bin"]] = r["count"] / stats[r["dim"]]["n"]
+        shares[r["at"] // bins, r["at"] % bins] = r["n"] / stats[r["at"] // bins]["n"]
     names, p1, p2 = [], np.zeros(d), np.zeros(d)
     for i, r in enumerate(stats):
         edges[i] = np.linspace(r["lo"], r["hi"], bins + 1)
@@ -105,8 +136,8 @@ def shrunk_budgets(index: Index, y: np.ndarray, found: dict, p: float, dims: Dim
         c[i] = shrink_coefficient(mixed_distribution(index.gen, y[i], dims, sample if family == "empirical" else None), kappa, m, p)
         if apply == "whole" and 0 < c[i] <= 1:
             r[i] *= c[i]
-        else:  # the root terms of the blocks are the budgets without their exact parts
-            r[i] -= (1 - c[i]) * found["roots"][i]
+        else:  # the root terms of the blocks are the budgets without their exact parts, which stay whatever c is
+            r[i] -= (1 - max(c[i], 0.0)) * found["roots"][i]
     return r, c
 
 
@@ -130,7 +161,7 @@ def approx_knn(
         found = query_budgets(index, qids, y, k, exclude_self=exclude_self)
         r, c = shrunk_budgets(index, y, found, p, dims, family, apply, sample)
         spark = index.points.sparkSession
-        first = best_k(refine_within(index, qids, y, r, k, granularity, exclude_self), k)
+        first = saved(best_k(refine_within(index, qids, y, r, k, granularity, exclude_self), k))  # counted, then returned
         full = min(k, index.n - int(exclude_self))
         have = {row["qid"]: row["count"] for row in first.groupBy("qid").count().collect()}  # one row a query
         few = np.array([have.get(int(q), 0) < full for q in qids])
@@ -141,5 +172,5 @@ def approx_knn(
             out = out.unionByName(again.join(F.broadcast(marks), "qid"))
         return out
 
-    found = each_block(index.gen.prepared(queries, "yvec"), index.d, work)
+    found = each_block(index.gen.prepared(queries, "yvec"), index.d, work, held_by(index))
     return found if found is not None else best_k(empty(queries, PARTIAL), k).withColumns({"coefficient": F.lit(1.0), "widened": F.lit(False)})

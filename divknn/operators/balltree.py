@@ -6,6 +6,7 @@ maxima over all points, so that pruning is exact whatever the sample.
 
 from __future__ import annotations
 
+import itertools
 from dataclasses import dataclass
 
 import numpy as np
@@ -79,6 +80,7 @@ def build_tree(sample: np.ndarray, gen: Generator, dims: list[int], leaf_size: i
     """Tree over the block's coordinates of a sample; leaves hold ``leaf_size`` sample rows at most, unless at ``max_depth``."""
     x, rng = sample[:, dims], np.random.default_rng(seed)
     centre, left, right, depth, leaf = [], [], [], [], []
+    leaves = itertools.count()
 
     def grow(rows: np.ndarray, level: int) -> int:
         own = len(centre)
@@ -87,7 +89,7 @@ def build_tree(sample: np.ndarray, gen: Generator, dims: list[int], leaf_size: i
             a.append(v)
         near = _split(gen, x[rows], rng) if len(rows) > leaf_size and level < max_depth else None
         if near is None:
-            leaf[own] = sum(v >= 0 for v in leaf)
+            leaf[own] = next(leaves)
         else:
             left[own] = grow(rows[near], level + 1)
             right[own] = grow(rows[~near], level + 1)

@@ -9,6 +9,7 @@ from statistics import NormalDist
 import numpy as np
 import pyarrow as pa
 from divknn.functions.generators import Generator
+from divknn.operators.approx import dimension_stats
 from divknn.operators.balltree import nearest_in_ball
 from divknn.operators.index import Index, bounded_sample, build_index
 from divknn.operators.vectors import PARTIAL, LocalTop, best_k, check_k, each_block, empty, matrix_of, sub_batches, width
@@ -41,7 +42,7 @@ class CellIndex:
 def build_cells(points: DataFrame, gen: Generator, bits: int = 6, edges: str = "quantile", page_bytes: int = 32 << 10) -> CellIndex:
     """Codes of ``bits`` bits a dimension; inner edges from a bounded sample, outer ones from all points."""
     points, d = gen.prepared(points), width(points)
-    ends = points.select(F.posexplode("vec").alias("i", "v")).groupBy("i").agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.count("*").alias("n")).orderBy("i").collect()
+    ends = dimension_stats(points)
     n, cells = (ends[0]["n"] if ends else 0), 1 << bits
     if not n:
         raise ValueError("cells need points")
@@ -121,10 +122,10 @@ def cell_knn(cells: CellIndex, queries: DataFrame, k: int, exclude_self: bool =
         return cell_candidates(cells, qids, y, k, exclude_self)
 
     queries = cells.gen.prepared(queries, "yvec")
-    found = each_block(queries, cells.d, work)
+    found = each_block(queries, cells.d, work, 2 * cells.d << cells.bits)
     if found is None:
         return best_k(empty(queries, PARTIAL), k)
-    near = found.join(cells.points.select("id", "vec"), "id").join(F.broadcast(queries), "qid")
+    near = found.join(cells.points.select("id", "vec"), "id").join(queries, "qid")
     if exclude_self:
         near = near.where("id <> qid")
     return best_k(near.select("qid", "id", divergence(cells.gen, "vec", "yvec").alias("divergence")), k)
@@ -142,19 +143,34 @@ def build_whole_tree(points: DataFrame, gen: Generator, leaf_size: int = 64, see
 class Visits:
     """What a tree search looked at: leaves of each query, and rounds."""
 
-    leaves: np.ndarray
+    seen: np.ndarray  # (queries, leaves)
     rounds: int
 
+    @property
+    def leaves(self) -> np.ndarray:
+        return self.seen.sum(1)
+
 
 def _leaf_bounds(index: Index, y: np.ndarray) -> np.ndarray:
-    """(queries, leaves) lower bounds of the divergence of a leaf's points; empty leaves are out of reach."""
-    tree, gen = index.trees[0], index.gen
+    """(queries, leaves) lower bounds of the divergence of a leaf's points, in tasks; empty leaves are out of reach."""
+    spark, tree, gen = index.points.sparkSession, index.trees[0], index.gen
     nodes = tree.leaf_nodes()
+    own = tree.count[nodes] > 0
+    centre, radius = tree.centre[nodes[own]][:, np.argsort(tree.dims)], tree.radius[nodes[own]]
+    cuts = np.array_split(np.arange(len(y)), min(len(y), 2 * spark.sparkContext.defaultParallelism))
+
+    def bound(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i, held in zip(batch.column("part").to_pylist(), batch.column("held").to_pylist(), strict=True):
+                for row, one in enumerate(np.frombuffer(held).reshape(-1, y_width)):
+                    low = nearest_in_ball(gen, centre, radius, np.repeat(one[None, :], len(centre), axis=0))[0]
+                    yield pa.RecordBatch.from_arrays([pa.array([i]), pa.array([row]), pa.array([low.tobytes()])], names=["part", "row", "low"])
+
+    y_width = y.shape[1]
+    asked = spark.createDataFrame([(i, np.ascontiguousarray(y[rows], dtype=float).tobytes()) for i, rows in enumerate(cuts)], "part long, held binary").repartition(len(cuts), "part")
     out = np.full((len(y), len(nodes)), np.inf)
-    for q in range(len(y)):
-        own = tree.count[nodes] > 0
-        use = nodes[own]
-        out[q, own] = nearest_in_ball(gen, tree.centre[use][:, np.argsort(tree.dims)], tree.radius[use], np.repeat(y[q : q + 1], len(use), axis=0))[0]
+    for r in asked.mapInArrow(bound, "part long, row long, low binary").collect():  # a number for each query of the block and leaf
+        out[cuts[r["part"]][r["row"]], own] = np.frombuffer(r["low"])
     return out
 
 
@@ -207,7 +223,7 @@ def tree_search(index: Index, qids: np.ndarray, y: np.ndarray, k: int, exclude_s
             break
         step *= 2
     rows = [(q, i + 1, b[1], b[2]) for q, own in best.items() for i, b in enumerate(own)]
-    return spark.createDataFrame(rows, "qid long, rank int, id long, divergence double"), Visits(seen.sum(1), rounds)
+    return spark.createDataFrame(rows, "qid long, rank int, id long, divergence double"), Visits(seen, rounds)
 
 
 def tree_knn(index: Index, queries: DataFrame, k: int, exclude_self: bool = False) -> DataFrame:
@@ -215,7 +231,7 @@ def tree_knn(index: Index, queries: DataFrame, k: int, exclude_self: bool = Fals
     check_k(k)
     if index.m != 1:
         raise ValueError("tree_knn needs an index of one block")
-    found = each_block(index.gen.prepared(queries, "yvec"), index.d, lambda q, y: tree_search(index, q, y, k, exclude_self)[0])
+    found = each_block(index.gen.prepared(queries, "yvec"), index.d, lambda q, y: tree_search(index, q, y, k, exclude_self)[0], 3 * index.trees[0].leaves)
     return found if found is not None else best_k(empty(queries, PARTIAL), k)
 
 
@@ -260,5 +276,5 @@ def guided_tree_knn(index: Index, queries: DataFrame, k: int, p: float, exclude_
     check_k(k)
     if not 0 < p <= 1:
         raise ValueError("p must be in (0, 1]")
-    found = each_block(index.gen.prepared(queries, "yvec"), index.d, lambda q, y: guided_search(index, q, y, k, p, exclude_self)[0])
+    found = each_block(index.gen.prepared(queries, "yvec"), index.d, lambda q, y: guided_search(index, q, y, k, p, exclude_self)[0], 3 * index.trees[0].leaves)
     return found if found is not None else best_k(empty(queries, PARTIAL), k)

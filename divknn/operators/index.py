@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import json
+import pickle
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -12,13 +13,12 @@ from divknn.functions import generators
 from divknn.functions.generators import Generator
 from divknn.operators.balltree import BallTree, build_tree
 from divknn.operators.summaries import Summaries
-from divknn.operators.vectors import matrix_of, sub_batches, width
+from divknn.operators.vectors import ROWS, matrix_of, sub_batches, width
 from divknn.plans import costmodel
 from divknn.plans.partition import make_blocks
-from divknn.storage import saved, shared_dir
+from divknn.storage import delete, saved, shared_dir
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import Window
 
 #: Rows a tree's splits are trained on, at most.
 SAMPLE = 20_000
@@ -37,7 +37,7 @@ class Index:
     path: str
     centre: np.ndarray | None = None
     model: costmodel.CostModel | None = None
-    cells: dict = field(default_factory=dict)
+    lead: int = 0
 
     @property
     def m(self) -> int:
@@ -57,8 +57,30 @@ def bounded_sample(points: DataFrame, n: int, most: int = SAMPLE) -> np.ndarray:
     return np.array([r["vec"] for r in picked.orderBy("id").limit(most).select("vec").collect()], float)
 
 
-def _write_layout(points: DataFrame, gen: Generator, trees: list[BallTree], lead: int, page_bytes: int, d: int, path: str) -> DataFrame:
-    """Points in the leaf order of the lead block, with their leaves in all trees and their page."""
+def _grow(sample: np.ndarray, gen: Generator, blocks: list[list[int]], leaf_size: int, max_depth: int, seed: int, spark: SparkSession) -> list[BallTree]:
+    """A tree for each block, each grown in a task of its own from its coordinates of the sample."""
+    rows = [(j, np.ascontiguousarray(sample[:, b]).tobytes()) for j, b in enumerate(blocks)]
+
+    def grow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for j, held in zip(batch.column("block").to_pylist(), batch.column("held").to_pylist(), strict=True):
+                own = np.frombuffer(held).reshape(-1, len(blocks[j]))
+                tree = build_tree(own, gen, list(range(len(blocks[j]))), leaf_size, max_depth, seed + j)
+                tree.dims = list(blocks[j])
+                yield pa.RecordBatch.from_arrays([pa.array([j]), pa.array([pickle.dumps(tree)])], names=["block", "tree"])
+
+    found = spark.createDataFrame(rows, "block long, held binary").repartition(len(rows), "block").mapInArrow(grow, "block long, tree binary").collect()  # trees of a bounded sample
+    return [pickle.loads(r["tree"]) for r in sorted(found, key=lambda r: r["block"])]
+
+
+def paged(rows: DataFrame, before: list[int], per_page: int) -> DataFrame:
+    """The layout's points with their page and slot: a row's place is its place in its part and what the parts before hold."""
+    ordinal = F.array(*map(F.lit, before))[F.col("part")].cast("long") + F.col("place")
+    return rows.select("id", "vec", "leaves", "leaf_ord", F.floor(ordinal / per_page).alias("page"), F.pmod(ordinal, F.lit(per_page)).cast("int").alias("slot"))
+
+
+def _write_layout(points: DataFrame, gen: Generator, trees: list[BallTree], lead: int, page_bytes: int, d: int, path: str) -> tuple[DataFrame, list[int]]:
+    """Points in the leaf order of the lead block, with their leaves in all trees and their page: a range sort, no group of a leaf meets in one task."""
     schema = "id long, vec array<double>, leaves array<int>, leaf_ord int"
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -69,16 +91,18 @@ def _write_layout(points: DataFrame, gen: Generator, trees: list[BallTree], lead
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("vec"), pa.ListArray.from_arrays(edge, pa.array(leaves.ravel())), pa.array(leaves[:, lead])], names=["id", "vec", "leaves", "leaf_ord"])
 
     placed = saved(points.select("id", "vec").mapInArrow(place, schema), f"{path}/assigned")
-    sizes = {r["leaf_ord"]: r["count"] for r in placed.groupBy("leaf_ord").count().collect()}  # one number a leaf
-    before, at = [], 0
-    for leaf in range(trees[lead].leaves):
-        before.append(at)
-        at += sizes.get(leaf, 0)
-    per_page = max(1, page_bytes // (4 * d))
-    starts = F.array(*map(F.lit, before))
-    order = F.row_number().over(Window.partitionBy("leaf_ord").orderBy("id")) - 1 + starts[F.col("leaf_ord")]
-    laid = placed.withColumn("ordinal", order.cast("long")).withColumn("page", F.floor(F.col("ordinal") / per_page)).withColumn("slot", F.pmod("ordinal", F.lit(per_page)).cast("int"))
-    return saved(laid.repartitionByRange("ordinal").sortWithinPartitions("ordinal").drop("ordinal"), f"{path}/points")
+    laid, before = in_leaf_order(placed, f"{path}/points")
+    delete(points.sparkSession, f"{path}/assigned")
+    return paged(laid, before, max(1, page_bytes // (4 * d))), before
+
+
+def in_leaf_order(placed: DataFrame, path: str) -> tuple[DataFrame, list[int]]:
+    """Rows by (leaf_ord, id) with their part and place in it, written; and the rows before each part."""
+    ordered = placed.repartitionByRange("leaf_ord", "id").sortWithinPartitions("leaf_ord", "id")
+    at = F.monotonically_increasing_id()  # the part in the upper bits, the place in it in the lower 33
+    laid = saved(ordered.withColumn("part", F.shiftright(at, 33).cast("int")).withColumn("place", at.bitwiseAND((1 << 33) - 1)), path)
+    sizes = {r["part"]: r["count"] for r in laid.groupBy("part").count().collect()}  # one number a part
+    return laid, np.concatenate(([0], np.cumsum([sizes.get(j, 0) for j in range(max(sizes, default=0) + 1)]))).tolist()
 
 
 def _radii(points: DataFrame, gen: Generator, trees: list[BallTree]) -> None:
@@ -88,15 +112,23 @@ def _radii(points: DataFrame, gen: Generator, trees: list[BallTree]) -> None:
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         radius, count = [np.zeros(len(t.leaf)) for t in trees], [np.zeros(len(t.leaf), np.int64) for t in trees]
-        for b in sub_batches(batches):
+        for b in sub_batches(batches, 8 * ROWS):
             x, leaves = matrix_of(b.column("vec")), matrix_of(b.column("leaves"))
             for j, t in enumerate(trees):
-                up = paths[j][leaf_nodes[j][leaves[:, j]]]
+                order = np.argsort(leaves[:, j], kind="stable")  # leaves are numbered left to right, so rows of a node are neighbours
+                own, up = x[order][:, t.dims], paths[j][leaf_nodes[j][leaves[order, j]]]
+                count[j] += np.bincount(up[:, 0], minlength=len(t.leaf))
                 for level in range(up.shape[1]):
-                    own = up[:, level] >= 0
-                    nodes = up[own, level]
-                    np.maximum.at(radius[j], nodes, gen.divergence(x[own][:, t.dims], t.centre[nodes]))
-                    np.add.at(count[j], nodes, 1)
+                    rows = np.flatnonzero(up[:, level] >= 0)
+                    nodes = up[rows, level]
+                    far = gen.divergence(own[rows] if len(rows) < len(own) else own, t.centre[nodes])
+                    by = np.argsort(nodes, kind="stable")
+                    first = np.flatnonzero(np.concatenate(([True], nodes[by][1:] != nodes[by][:-1])))
+                    np.maximum.at(radius[j], nodes[by][first], np.maximum.reduceat(far[by], first))
+        for j, t in enumerate(trees):  # counted at the leaves, summed up the tree: children have larger numbers
+            parent = t.parents()
+            for node in range(len(parent) - 1, 0, -1):
+                count[j][parent[node]] += count[j][node]
         which = np.concatenate([np.full(len(r), j) for j, r in enumerate(radius)])
         node = np.concatenate([np.arange(len(r)) for r in radius])
         yield pa.RecordBatch.from_arrays([pa.array(which), pa.array(node), pa.array(np.concatenate(radius)), pa.array(np.concatenate(count))], names=["block", "node", "radius", "count"])
@@ -136,9 +168,9 @@ def build_index(
     blocks = make_blocks(points, int(m), strategy, seed, first)
     sample = bounded_sample(points, n)
     scaled = max(2, round(leaf_size * len(sample) / n))
-    trees = [build_tree(sample, gen, b, scaled, max_depth, seed + j) for j, b in enumerate(blocks)]
+    trees = _grow(sample, gen, blocks, scaled, max_depth, seed, spark)
     lead = int(np.random.default_rng(seed).integers(len(blocks)))
-    laid = _write_layout(points, gen, trees, lead, page_bytes, d, path)
+    laid, before = _write_layout(points, gen, trees, lead, page_bytes, d, path)
     _radii(laid, gen, trees)
     mean = sample.mean(0) if centre else None
     which = Summaries(gen, blocks, mean)
@@ -150,10 +182,27 @@ def build_index(
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("leaf_ord"), *[pa.ListArray.from_arrays(edge, pa.array(v.ravel())) for v in pair]], names=["id", "leaf_ord", "phi", "sq"])
 
     sums = saved(laid.select("id", "leaf_ord", "vec").mapInArrow(summarise, "id long, leaf_ord int, phi array<double>, sq array<double>"), f"{path}/summaries")
+    delete(spark, f"{path}/input")
     nodes_table(spark, trees).coalesce(1).write.partitionBy("block").parquet(f"{path}/nodes")
-    manifest = {"generator": gen.name, "weights": gen.weights, "d": d, "n": n, "blocks": blocks, "lead": lead, "seed": seed, "page_bytes": page_bytes, "centre": None if mean is None else mean.tolist(), "model": model and model.as_dict()}
-    spark.createDataFrame([(json.dumps(manifest),)], "value string").coalesce(1).write.text(f"{path}/manifest")
-    return Index(gen, blocks, d, n, trees, laid, sums, page_bytes, path, mean, model)
+    index = Index(gen, blocks, d, n, trees, laid, sums, page_bytes, path, mean, model, lead)
+    _write_manifest(spark, index, path, before)
+    return index
+
+
+def _write_manifest(spark: SparkSession, index: Index, path: str, before: list[int] | None) -> None:
+    """Last of all: where it is, the index is whole."""
+    facts = {"generator": index.gen.name, "weights": index.gen.weights, "d": index.d, "n": index.n, "blocks": index.blocks, "lead": index.lead, "page_bytes": index.page_bytes, "before": before}
+    facts |= {"centre": None if index.centre is None else index.centre.tolist(), "model": index.model and index.model.as_dict()}
+    spark.createDataFrame([(json.dumps(facts),)], "value string").coalesce(1).write.text(f"{path}/manifest")
+
+
+def save_index(index: Index, path: str) -> None:
+    """Write all of an index, also one that appends and removals have changed."""
+    spark = index.points.sparkSession
+    index.points.select("id", "vec", "leaves", "leaf_ord", "page", "slot").write.mode("overwrite").parquet(f"{path}/points")
+    index.summaries.write.mode("overwrite").parquet(f"{path}/summaries")
+    nodes_table(spark, index.trees).coalesce(1).write.mode("overwrite").partitionBy("block").parquet(f"{path}/nodes")
+    _write_manifest(spark, index, path, None)
 
 
 def load_index(spark: SparkSession, path: str, gen: Generator | None = None) -> Index:
@@ -166,7 +215,9 @@ def load_index(spark: SparkSession, path: str, gen: Generator | None = None) ->
         rows.setdefault(r["block"], []).append(r)
     col = lambda j, c: np.array([r[c] for r in rows[j]])
     trees = [BallTree(b, col(j, "centre"), col(j, "left"), col(j, "right"), col(j, "depth"), col(j, "leaf"), col(j, "radius"), col(j, "n_points")) for j, b in enumerate(m["blocks"])]
-    return Index(gen, m["blocks"], m["d"], m["n"], trees, spark.read.parquet(f"{path}/points"), spark.read.parquet(f"{path}/summaries"), m["page_bytes"], path, None if m["centre"] is None else np.array(m["centre"]), m["model"] and costmodel.CostModel(**m["model"]))
+    points = spark.read.parquet(f"{path}/points")
+    points = points if m["before"] is None else paged(points, m["before"], max(1, m["page_bytes"] // (4 * m["d"])))
+    return Index(gen, m["blocks"], m["d"], m["n"], trees, points, spark.read.parquet(f"{path}/summaries"), m["page_bytes"], path, None if m["centre"] is None else np.array(m["centre"]), m["model"] and costmodel.CostModel(**m["model"]), m["lead"])
 
 
-__all__ = ["Index", "bounded_sample", "build_index", "load_index", "nodes_table", "width"]
+__all__ = ["Index", "bounded_sample", "build_index", "in_leaf_order", "load_index", "nodes_table", "paged", "save_index", "width"]

@@ -6,7 +6,7 @@ from divknn.functions.generators import Generator, divergence
 from divknn.operators.baselines import build_whole_tree
 from divknn.operators.index import Index
 from divknn.operators.search import exact_knn, range_search
-from divknn.operators.vectors import scan_knn
+from divknn.operators.vectors import broadcast_parts, scan_knn, union_of, width
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -32,7 +32,7 @@ def label_vote(neighbours: DataFrame, labels: DataFrame) -> DataFrame:
 def similar_pairs(points: DataFrame, few: DataFrame, gen: Generator, radius: float) -> DataFrame:
     """(qid, id, divergence) within a radius of a few stated points, themselves left out."""
     q = few.select(F.col("id").alias("qid"), F.col("vec").alias("yvec"))
-    near = points.join(F.broadcast(q), (F.col("id") != F.col("qid")) & (divergence(gen, "vec", "yvec") <= radius))
+    near = union_of([points.join(part, (F.col("id") != F.col("qid")) & (divergence(gen, "vec", "yvec") <= radius)) for part in broadcast_parts(q, width(points))])
     return near.select("qid", "id", divergence(gen, "vec", "yvec").alias("divergence"))
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -10,7 +11,7 @@ from divknn.functions.generators import Generator, divergence
 from divknn.operators.balltree import tree_range
 from divknn.operators.index import Index
 from divknn.operators.summaries import lowest_totals
-from divknn.operators.vectors import PARTIAL, LocalTop, best_k, check_k, each_block, empty, matrix_of, sub_batches
+from divknn.operators.vectors import PARTIAL, LocalTop, best_k, broadcast_parts, check_k, each_block, empty, matrix_of, sub_batches, union_of
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,7 +21,7 @@ def block_range(points: DataFrame, queries: DataFrame, gen: Generator, dims: lis
     cut = "transform(array(" + ",".join(map(str, dims)) + "), i -> {v}[i])"
     x = points.select("id", F.expr(cut.format(v="vec")).alias("x"))
     y = queries.select("qid", "radius", F.expr(cut.format(v="yvec")).alias("y"))
-    pairs = x.join(F.broadcast(y), divergence(gen, "x", "y") <= F.col("radius") + 1e-9 * (1 + F.abs("radius")))
+    pairs = union_of([x.join(q, divergence(gen, "x", "y") <= F.col("radius") + 1e-9 * (1 + F.abs("radius"))) for q in broadcast_parts(y, len(dims))])
     return pairs.select("qid", "id", divergence(gen, "x", "y").alias("divergence"))
 
 
@@ -58,58 +59,93 @@ def query_budgets(index: Index, qids: np.ndarray, y: np.ndarray, k: int, tighten
     return out
 
 
-def touched_leaves(index: Index, y: np.ndarray, r: np.ndarray) -> tuple[list[np.ndarray], int, np.ndarray]:
-    """(per block, (queries, leaves) mask; nodes looked at; leaves touched by each query)."""
-    hits, looked = [], 0
-    for j, tree in enumerate(index.trees):
-        hit, n = tree_range(tree, index.gen, y[:, tree.dims], np.minimum(r[:, j], 1e300))
-        hits.append(hit)
-        looked += n
-    return hits, looked, sum(h.sum(1) for h in hits)
+class Reach:
+    """Leaves that the budgets of a block of queries reach, as bits; ``every`` marks queries that some block lets reach all."""
 
+    def __init__(self, bits: list[np.ndarray], leaves: list[int], looked: int, every: np.ndarray):
+        self.bits, self.leaves, self.looked, self.every = bits, leaves, looked, every
 
-def _mask(index: Index, gen: Generator, x: np.ndarray, leaves: np.ndarray, y: np.ndarray, hits: list[np.ndarray], r: np.ndarray, granularity: str) -> np.ndarray:
+    def masks(self) -> list[np.ndarray]:
+        """Per block a (queries, leaves) mask."""
+        return [np.unpackbits(b, axis=1, count=n).view(bool) for b, n in zip(self.bits, self.leaves, strict=True)]
+
+    def touched(self) -> np.ndarray:
+        return sum(m.sum(1) for m in self.masks())
+
+
+def touched_leaves(index: Index, y: np.ndarray, r: np.ndarray) -> Reach:
+    """The ball tests of a block of queries against all trees, a task for each tree and part of the queries."""
+    spark, gen = index.points.sparkSession, index.gen
+    cuts = np.array_split(np.arange(len(y)), max(1, min(len(y), -(-2 * spark.sparkContext.defaultParallelism // max(1, index.m)))))
+    rows = [(j, i, pickle.dumps((t, y[rows][:, t.dims], np.minimum(r[rows, j], 1e300)))) for j, t in enumerate(index.trees) for i, rows in enumerate(cuts)]
+
+    def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for j, i, held in zip(*(batch.column(c).to_pylist() for c in ("block", "part", "held")), strict=True):
+                tree, own, radius = pickle.loads(held)
+                hit, looked = tree_range(tree, gen, own, radius)
+                full = tree.count[tree.leaf_nodes()] > 0
+                yield pa.RecordBatch.from_arrays([pa.array([j]), pa.array([i]), pa.array([looked]), pa.array([np.packbits(hit, axis=1).tobytes()]), pa.array([np.packbits(hit[:, full].all(1)).tobytes()])], names=["block", "part", "looked", "bits", "every"])
+
+    asked = spark.createDataFrame(rows, "block long, part long, held binary").repartition(len(rows), "block", "part")
+    found = {(f["block"], f["part"]): f for f in asked.mapInArrow(test, "block long, part long, looked long, bits binary, every binary").collect()}  # bits of a checked number
+    bits = [np.concatenate([np.frombuffer(found[j, i]["bits"], np.uint8).reshape(len(rows), -(-t.leaves // 8)) for i, rows in enumerate(cuts)]) for j, t in enumerate(index.trees)]
+    every = np.concatenate([np.any([np.unpackbits(np.frombuffer(found[j, i]["every"], np.uint8), count=len(rows)).view(bool) for j in range(index.m)], axis=0) for i, rows in enumerate(cuts)])
+    return Reach(bits, [t.leaves for t in index.trees], sum(f["looked"] for f in found.values()), every)
+
+
+def held_by(index: Index) -> int:
+    """Numbers that a search holds for a query besides its vector."""
+    return sum(t.leaves for t in index.trees) // 8 + 4 * index.m
+
+
+def _mask(blocks: list[list[int]], gen: Generator, x: np.ndarray, leaves: np.ndarray, y: np.ndarray, hits: list[np.ndarray], every: np.ndarray, r: np.ndarray, granularity: str) -> np.ndarray:
     """(rows, queries): whether some block keeps the pair."""
     keep = np.zeros((len(x), len(y)), bool)
-    for j, b in enumerate(index.blocks):
-        near = hits[j].T[leaves[:, j]]
+    if granularity == "leaf":
+        keep[:, every] = True
+    rest = np.arange(len(y)) if granularity == "point" else np.flatnonzero(~every)
+    if not len(rest):
+        return keep
+    some = np.zeros((len(x), len(rest)), bool)
+    for j, b in enumerate(blocks):
+        near = hits[j].T[leaves[:, j]][:, rest]
         if granularity == "point":
             near &= gen.matrix(x[:, b], y[:, b]) <= r[:, j] + 1e-9 * (1 + np.abs(r[:, j]))
-        keep |= near
+        some |= near
+    keep[:, rest] = some
     return keep
 
 
 def candidates(index: Index, qids: np.ndarray, y: np.ndarray, r: np.ndarray, granularity: str = "leaf") -> DataFrame:
     """(qid, id, page) of every candidate: each point decides by its own leaves, so nothing is shuffled to unite the blocks."""
-    hits, _, _ = touched_leaves(index, y, r)
-    gen = index.gen
+    reach = touched_leaves(index, y, r)
+    gen, blocks = index.gen, index.blocks
 
     def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hits = reach.masks()
         for b in sub_batches(batches):
-            row, q = np.nonzero(_mask(index_free, gen, matrix_of(b.column("vec")), matrix_of(b.column("leaves")), y, hits, r, granularity))
+            row, q = np.nonzero(_mask(blocks, gen, matrix_of(b.column("vec")), matrix_of(b.column("leaves")), y, hits, reach.every, r, granularity))
             yield pa.RecordBatch.from_arrays([pa.array(qids[q]), b.column("id").take(pa.array(row)), b.column("page").take(pa.array(row))], names=["qid", "id", "page"])
 
-    index_free = _Blocks(index.blocks)
     return index.points.select("id", "vec", "leaves", "page").mapInArrow(pick, "qid long, id long, page long")
 
 
-class _Blocks:
-    """What tasks need of an index."""
-
-    def __init__(self, blocks: list[list[int]]):
-        self.blocks = blocks
-
-
 def refine_within(index: Index, qids: np.ndarray, y: np.ndarray, r: np.ndarray, k: int, granularity: str, exclude_self: bool) -> DataFrame:
     """Filter and exact distances in one pass over the points: k rows a task and query leave it."""
-    hits, _, _ = touched_leaves(index, y, r)
-    gen, free = index.gen, _Blocks(index.blocks)
+    reach = touched_leaves(index, y, r)
+    gen, blocks = index.gen, index.blocks
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         top = LocalTop(gen, qids, y, k, exclude_self)
+        whole = granularity == "leaf" and bool(reach.every.all())
+        hits = [] if whole else reach.masks()
         for b in sub_batches(batches):
             x = matrix_of(b.column("vec"))
-            keep = _mask(free, gen, x, matrix_of(b.column("leaves")), y, hits, r, granularity)
+            if whole:  # nothing to leave out
+                top.add(b.column("id").to_numpy(), x)
+                continue
+            keep = _mask(blocks, gen, x, matrix_of(b.column("leaves")), y, hits, reach.every, r, granularity)
             rows = np.flatnonzero(keep.any(1))
             if len(rows):
                 top.add(b.column("id").to_numpy()[rows], x[rows], keep[rows])
@@ -126,21 +162,20 @@ def exact_knn(index: Index, queries: DataFrame, k: int, granularity: str = "leaf
         r = query_budgets(index, qids, y, k, tighten, exclude_self, sample)["r"]
         return refine_within(index, qids, y, r, k, granularity, exclude_self)
 
-    found = each_block(index.gen.prepared(queries, "yvec"), index.d, work)
+    found = each_block(index.gen.prepared(queries, "yvec"), index.d, work, held_by(index))
     return best_k(found if found is not None else empty(queries, PARTIAL), k)
 
 
 def range_search(index: Index, queries: DataFrame, granularity: str = "leaf") -> DataFrame:
     """(qid, id, divergence) of all points within each query's radius; queries: (qid, yvec, radius). One whole-space tree serves best."""
-    radius = {r["qid"]: r["radius"] for r in queries.select("qid", "radius").collect()}
-
     def work(qids: np.ndarray, y: np.ndarray) -> DataFrame:
-        r = np.array([radius[int(q)] for q in qids], float)
+        r, y = y[:, -1], y[:, :-1]  # the radius travels as a last coordinate
         budget = np.repeat(r[:, None], index.m, axis=1)  # a point within r is within r in every block
-        hits, _, _ = touched_leaves(index, y, budget)
+        reach = touched_leaves(index, y, budget)
         gen = index.gen
 
         def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            hits = reach.masks()
             for b in sub_batches(batches):
                 x, leaves = matrix_of(b.column("vec")), matrix_of(b.column("leaves"))
                 keep = np.ones((len(x), len(y)), bool)
@@ -153,7 +188,8 @@ def range_search(index: Index, queries: DataFrame, granularity: str = "leaf") ->
 
         return index.points.select("id", "vec", "leaves").mapInArrow(scan, PARTIAL)
 
-    found = each_block(queries, index.d, work)
+    asked = queries.select("qid", F.concat("yvec", F.array(F.col("radius").cast("double"))).alias("yvec"))
+    found = each_block(asked, index.d + 1, work, held_by(index))
     return found if found is not None else empty(queries, PARTIAL)
 
 

@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from divknn.functions.generators import Generator
-from divknn.operators.vectors import each_block, empty, matrix_of, sub_batches
+from divknn.operators.vectors import broadcast_parts, each_block, empty, matrix_of, sub_batches, union_of
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -63,7 +63,8 @@ def budgets(psum: DataFrame, qsum: DataFrame, k: int, sample: float | None = Non
     if sample is not None:
         part = psum.where(F.pmod(F.xxhash64("id"), F.lit(1_000_000)) < int(sample * 1_000_000))
         psum = part if part.limit(k).count() >= k else psum
-    pairs = psum.crossJoin(F.broadcast(qsum)).select("qid", "id", ceiling().alias("total"), ceilings().alias("budgets"))
+    blocks = qsum.select(F.size("qsum").alias("m")).first()
+    pairs = union_of([psum.crossJoin(q) for q in broadcast_parts(qsum, 3 * (blocks["m"] if blocks else 1))]).select("qid", "id", ceiling().alias("total"), ceilings().alias("budgets"))
     w = Window.partitionBy("qid").orderBy(F.round("total", 9), "id")
     top = pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
     last = Window.partitionBy("qid").orderBy(F.desc("rank"))

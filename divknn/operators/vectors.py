@@ -21,9 +21,13 @@ def matrix_of(column: pa.ListArray, d: int | None = None) -> np.ndarray:
     return flat.reshape(len(column), -1 if len(column) else (d or 0))
 
 
-def query_blocks(queries: DataFrame, d: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(qids, vectors) in blocks whose size is checked."""
-    most = max(1, QUERY_NUMBERS // max(d, 1))
+def query_blocks(queries: DataFrame, d: int, more: int = 0) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(qids, vectors) in blocks whose size is checked.
+
+    A query costs its own numbers, one for each row of a batch (divergences) and ``more``, what a method
+    holds for it besides (leaves of all trees, cells of all dimensions).
+    """
+    most = max(1, QUERY_NUMBERS // (max(d, 1) + ROWS + more))
     ids, rows = [], []
     for r in queries.select("qid", "yvec").toLocalIterator():
         if r["yvec"] is None or len(r["yvec"]) != d or not np.isfinite(r["yvec"]).all():
@@ -75,14 +79,29 @@ def best_k(partial: DataFrame, k: int) -> DataFrame:
     return partial.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("qid", F.col("rank").cast("int"), "id", "divergence")
 
 
-def each_block(queries: DataFrame, d: int, work: Callable[[np.ndarray, np.ndarray], DataFrame]) -> DataFrame | None:
+def each_block(queries: DataFrame, d: int, work: Callable[[np.ndarray, np.ndarray], DataFrame], more: int = 0) -> DataFrame | None:
     out = None
-    for qids, y in query_blocks(queries, d):
+    for qids, y in query_blocks(queries, d, more):
         found = work(qids, y)
         out = found if out is None else out.unionByName(found)
     return out
 
 
+def broadcast_parts(few: DataFrame, numbers: int, key: str = "qid") -> list[DataFrame]:
+    """Parts of ``few`` (rows of ``numbers`` numbers each), marked for broadcast, none larger than ``QUERY_NUMBERS``."""
+    parts = -(-few.count() * max(1, numbers) // QUERY_NUMBERS)
+    if parts <= 1:
+        return [F.broadcast(few)]
+    return [F.broadcast(few.where(F.pmod(F.xxhash64(key), F.lit(parts)) == i)) for i in range(parts)]
+
+
+def union_of(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for part in parts[1:]:
+        out = out.unionByName(part)
+    return out
+
+
 def check_k(k: int) -> None:
     if k < 1:
         raise ValueError("k must be 1 or more")
@@ -127,7 +146,8 @@ def scan_knn_columns(points: DataFrame, queries: DataFrame, gen: Generator, k: i
     from divknn.functions.generators import divergence
 
     check_k(k)
-    pairs = gen.prepared(points).crossJoin(F.broadcast(gen.prepared(queries, "yvec")))
+    asked = gen.prepared(queries, "yvec")
+    pairs = union_of([gen.prepared(points).crossJoin(q) for q in broadcast_parts(asked, width(points))])
     if exclude_self:
         pairs = pairs.where("id <> qid")
     return best_k(pairs.select("qid", "id", divergence(gen, "vec", "yvec").alias("divergence")), k)

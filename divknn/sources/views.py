@@ -153,8 +153,8 @@ def catalogue() -> dict[str, View]:
         "line_mix64": View(64, "exponential", lambda s, d: line_mix(s, d, 64)),
         "line_mix128": View(128, "exponential", lambda s, d: line_mix(s, d, 128)),
         "part_month": View(84, "itakura_saito", part_month, part_month_sql()),
-        "gauss200": View(200, "exponential", lambda s, d: gauss(s, 5000, scale=0.3)),
-        "unif200": View(200, "itakura_saito", lambda s, d: uniform(s, 5000)),
+        "gauss200": View(200, "exponential", lambda s, d: gauss(s, 50_000, scale=0.3)),
+        "unif200": View(200, "itakura_saito", lambda s, d: uniform(s, 50_000)),
     }
     for d in (8, 16, 32):
         out[f"emb{d}"] = View(d, "exponential", lambda s, p, d=d: emb(s, p, 0.0, d), emb_sql("0.0", d))

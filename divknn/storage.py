@@ -8,6 +8,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _FALLBACK: list[str] = []
+_OWN: set[str] = set()
 
 
 def local_session(cores: int | str = "*", **conf: str) -> SparkSession:
@@ -19,13 +20,27 @@ def local_session(cores: int | str = "*", **conf: str) -> SparkSession:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A fresh folder name in the shared checkpoint folder (a temporary one only where none is set)."""
+    """A fresh folder name in the shared folder of ``spark.checkpoint.dir``, deleted when the application ends.
+
+    Without that setting a temporary folder serves a local master; on a cluster, whose executors could not
+    see it, an error is raised.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         if not _FALLBACK:
-            _FALLBACK.append("file://" + tempfile.mkdtemp(prefix="divknn-index-"))
+            _FALLBACK.append("file://" + tempfile.mkdtemp(prefix="divknn-"))
         base = _FALLBACK[0]
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+    own = f"{base.rstrip('/')}/divknn-{spark.sparkContext.applicationId}"
+    if own not in _OWN:
+        jvm = spark.sparkContext._jvm
+        path = jvm.org.apache.hadoop.fs.Path(own)
+        files = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        files.mkdirs(path)
+        files.deleteOnExit(path)
+        _OWN.add(own)
+    return f"{own}/{uuid.uuid4().hex}"
 
 
 def saved(df: DataFrame, path: str | None = None) -> DataFrame:
@@ -33,3 +48,9 @@ def saved(df: DataFrame, path: str | None = None) -> DataFrame:
     path = path or shared_dir(df.sparkSession)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    """Remove a folder that is not read any more."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)

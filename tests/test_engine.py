@@ -173,8 +173,8 @@ def test_pages_and_determinism(spark, mixed):
     r = query_budgets(index, qids, y, 5)["r"]
     share = measures.candidate_share(index, qids, y, r)
     assert all(r_["n_candidates"] <= 3 * r_["data_pages"] and r_["data_pages"] <= 134 for r_ in share.collect())
-    hits, looked, leaves = touched_leaves(index, y, r)
-    assert looked > 0 and (leaves > 0).all()
+    reach = touched_leaves(index, y, r)
+    assert reach.looked > 0 and (reach.touched() > 0).all()
     again = build_index(df.repartition(7), g, 3, page_bytes=4 * 24 * 3)
     assert again.blocks == index.blocks and rows(exact_knn(again, q, 5)) == rows(exact_knn(index, q, 5))
 

@@ -10,7 +10,7 @@ from divknn.sources import views
 
 @pytest.fixture(autouse=True)
 def several_blocks(monkeypatch):
-    monkeypatch.setattr(vectors, "QUERY_NUMBERS", 64 * 200)
+    monkeypatch.setattr(vectors, "QUERY_NUMBERS", 400_000)
 
 
 def arrays(spark, sf, view):
@@ -34,7 +34,7 @@ def test_all_similar_pairs(spark, sf):
 def test_knn_join_of_all_parts(spark, sf):
     ids, x = arrays(spark, sf, "part_month")
     g = G.itakura_saito()
-    got = {(r["qid"], r["rank"]): r["id"] for r in workloads.QUERIES["knn_join_parts_all"](spark, sf).collect()}
+    got = {(r["qid"], r["rank"]): r["id"] for r in workloads.QUERIES["knn_join_parts"](spark, sf).collect()}
     want = {}
     for q, y in zip(ids, x, strict=True):
         for rank, i in enumerate(np.lexsort((ids, np.round(g.divergence(x, y), 9)))[:5], 1):

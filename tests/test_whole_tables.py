@@ -1,33 +1,24 @@
-"""Searches in which every id divisible by 20 asks, against the SQL of the few with the choice of queries replaced."""
+"""Searches in which every id divisible by 20 asks, in several query blocks, and those whose SQL suits small tables only."""
 
 import pytest
-from divknn import workloads
+from divknn import part_queries, workloads  # noqa: F401
 from divknn.operators import vectors
 
 from .compare import same
 
-FEW, ALL = "ORDER BY id LIMIT 20", "WHERE id % 20 = 0"
-NAMES = ["scan_knn_exp", "scan_knn_columns_isd", "exact_knn_emb_exp", "exact_knn_page_exp", "cell_knn_emb_exp", "tree_range_emb_isd", "block_range_emb_exp", "div_exp", "div_mahal_full", "knn_label_vote", "candidate_share", "budgets_k20"]
 
+@pytest.mark.parametrize("name", sorted(workloads.SMALL_ORACLES))
+def test_all_order_lines(spark, sf, name):
+    same(workloads.QUERIES[name](spark, sf), workloads.SMALL_ORACLES[name], sf)
 
-def whole(name):
-    sql = workloads.ORACLES[name].replace(FEW, ALL).replace("WHERE p.id < 100", "").replace("WHERE y.id < 20", "WHERE y.id % 20 = 0").replace("WHERE id < 20", ALL).replace(" WHERE id < 100", "")
-    assert "LIMIT" not in sql and "id < " not in sql.replace("id < y", "")
-    return sql
 
-
-@pytest.mark.parametrize("name", NAMES)
-def test_whole_tables(spark, sf, name):
-    same(workloads.QUERIES[f"{name}_every20"](spark, sf), whole(name), sf)
-
-
-@pytest.mark.parametrize("name", ["candidate_share", "exact_knn_emb_exp"])
+@pytest.mark.parametrize("name", ["candidate_share", "exact_knn_emb_exp", "scan_knn_columns_exp", "tree_range_emb_exp", "cell_knn_emb_exp", "tree_knn_emb_exp", "approx_knn_p100", "similar_pairs_all"])
 def test_more_queries_than_a_block(spark, sf, name, monkeypatch):
-    monkeypatch.setattr(vectors, "QUERY_NUMBERS", 64 * 7)
-    same(workloads.QUERIES[f"{name}_every20"](spark, sf), whole(name), sf)
+    monkeypatch.setattr(vectors, "QUERY_NUMBERS", 20_000)
+    same(workloads.QUERIES[name](spark, sf), workloads.ORACLES[name], sf)
 
 
 def test_measures_cover_all_queries(spark, sf, monkeypatch):
-    monkeypatch.setattr(vectors, "QUERY_NUMBERS", 64 * 7)
+    monkeypatch.setattr(vectors, "QUERY_NUMBERS", 20_000)
     for name in ("page_reads", "block_overlap"):
-        assert sorted(r["qid"] for r in workloads.QUERIES[f"{name}_every20"](spark, sf).collect()) == list(range(0, 500, 20))
+        assert sorted(r["qid"] for r in workloads.QUERIES[name](spark, sf).collect()) == list(range(0, 500, 20))
