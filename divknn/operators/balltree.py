@@ -42,16 +42,18 @@ class BallTree:
         return nodes[np.argsort(self.leaf[nodes])]
 
     def assign(self, gen: Generator, x: np.ndarray) -> np.ndarray:
-        """Leaf node of each row: the nearer of two children at each step."""
+        """Leaf node of each row: the nearer of two children at each step, told by a hyperplane."""
+        inner = self.left >= 0
+        slope, level = np.zeros_like(self.centre), np.zeros(len(self.centre))
+        slope[inner], level[inner] = bisector(gen, self.centre[self.left[inner]], self.centre[self.right[inner]])
         at = np.zeros(len(x), np.int64)
-        while True:
-            inner = np.flatnonzero(self.left[at] >= 0)
-            if not len(inner):
-                return at
-            here = at[inner]
-            a = gen.divergence(x[inner], self.centre[self.left[here]])
-            b = gen.divergence(x[inner], self.centre[self.right[here]])
-            at[inner] = np.where(a <= b, self.left[here], self.right[here])
+        open_ = np.arange(len(x)) if inner[0] else np.zeros(0, np.int64)
+        while len(open_):
+            here = at[open_]
+            near = (x[open_] * slope[here]).sum(1) <= level[here]
+            at[open_] = np.where(near, self.left[here], self.right[here])
+            open_ = open_[inner[at[open_]]]
+        return at
 
     def paths(self) -> np.ndarray:
         """(nodes, depth) ancestors of each node, itself included, -1 where there is none."""
@@ -63,17 +65,27 @@ class BallTree:
         return np.stack(out, axis=1)
 
 
+def bisector(gen: Generator, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(slope, level): a point x is no farther from a than from b where slope . x <= level, as the convex parts of x cancel."""
+    ga, gb = gen.grad(a), gen.grad(b)
+    return gb - ga, (gen.phi(a) - ga * a - gen.phi(b) + gb * b).sum(-1)
+
+
 def _split(gen: Generator, x: np.ndarray, rng: np.random.Generator, rounds: int = 8) -> np.ndarray | None:
     """Mask of the first of two clusters; None if the points cannot be told apart."""
     a = x[rng.integers(len(x))]
     b = x[np.argmax(gen.divergence(x, a))]
-    for _ in range(rounds):
-        near = gen.divergence(x, a) <= gen.divergence(x, b)
+    before = None
+    for _ in range(rounds + 1):
+        slope, level = bisector(gen, a, b)
+        near = x @ slope <= level
         if near.all() or not near.any():
             return None
+        if before is not None and np.array_equal(near, before):
+            break
+        before = near
         a, b = x[near].mean(0), x[~near].mean(0)  # the mean is the best centre for every divergence
-    near = gen.divergence(x, a) <= gen.divergence(x, b)
-    return None if near.all() or not near.any() else near
+    return near
 
 
 def build_tree(sample: np.ndarray, gen: Generator, dims: list[int], leaf_size: int, max_depth: int = 12, seed: int = 42) -> BallTree:
@@ -123,8 +135,23 @@ def nearest_in_ball(gen: Generator, c: np.ndarray, radius: np.ndarray, y: np.nda
 
 def ball_vs_range(gen: Generator, c: np.ndarray, radius: np.ndarray, y: np.ndarray, r: np.ndarray) -> np.ndarray:
     """For each pair of a ball and a range {x : D(x, y) <= r}: -1 apart, 1 ball inside range (told for G1 only), 0 visit."""
-    lower, _ = nearest_in_ball(gen, c, radius, y)
-    out = np.where(lower > r + 1e-9 * (1 + np.abs(r)), -1, 0)
+    out, limit = np.zeros(len(c), np.int64), r + 1e-9 * (1 + np.abs(r))
+    # The same bisection as in nearest_in_ball, but a pair leaves it as soon as either bound has decided.
+    open_ = np.flatnonzero((gen.divergence(y, c) > radius) & (gen.divergence(c, y) > r))
+    lo, hi = np.zeros(len(open_)), np.ones(len(open_))
+    for _ in range(24):
+        if not len(open_):
+            break
+        cc, yy, most = c[open_], y[open_], radius[open_]
+        share = (lo + hi) / 2
+        x = gen.grad_inv((1 - share)[:, None] * gen.grad(yy) + share[:, None] * gen.grad(cc))
+        to_c, to_y = gen.divergence(x, cc), gen.divergence(x, yy)
+        lower = to_y + share / np.maximum(1 - share, 1e-12) * (to_c - most)
+        inside = to_c <= most
+        apart = lower > limit[open_]
+        out[open_[apart]] = -1
+        go = ~apart & ~(inside & (to_y <= r[open_]))
+        lo, hi, open_ = np.where(inside, lo, share)[go], np.where(inside, share, hi)[go], open_[go]
     if gen.name == "squared_euclidean":
         inside = (np.sqrt(2 * radius) + np.sqrt(2 * gen.divergence(c, y))) ** 2 / 2 <= r
         out = np.where(inside & (out == 0), 1, out)

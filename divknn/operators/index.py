@@ -167,7 +167,7 @@ def build_index(
         m = model.optimal_blocks(k)
     blocks = make_blocks(points, int(m), strategy, seed, first)
     sample = bounded_sample(points, n)
-    scaled = max(2, round(leaf_size * len(sample) / n))
+    scaled = max(min(leaf_size, 8), round(leaf_size * len(sample) / n))  # fewer rows of a sample make poor splits
     trees = _grow(sample, gen, blocks, scaled, max_depth, seed, spark)
     lead = int(np.random.default_rng(seed).integers(len(blocks)))
     laid, before = _write_layout(points, gen, trees, lead, page_bytes, d, path)

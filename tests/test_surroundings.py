@@ -146,7 +146,7 @@ def test_shared_folder_is_needed_on_a_cluster(spark, monkeypatch):
     from divknn import storage
 
     class Other:
-        master, conf = "spark://host:7077", spark.conf
+        master, conf = "spark://host:7077", {}
 
         @property
         def sparkContext(self):  # noqa: N802
