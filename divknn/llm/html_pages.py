@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
 
-TRAIN_PAGES, SEED, STEPS, DROPPED = 600, 11, 150, 0.25
+TRAIN_PAGES, SEED, STEPS, DROPPED = 600, 11, 200, 0.25
 
 #: Fixed lists of HTML: tags that end a block, without content, whose content is no markup, small embedded ones, and implied ends.
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav noscript ol optgroup option p pre section summary table tbody td template tfoot th thead tr ul".split())
@@ -39,10 +39,10 @@ _PARTS = re.compile(r"[a-z]+")
 
 
 class Block:
-    __slots__ = ("linked", "marks", "pieces", "tag", "text")
+    __slots__ = ("linked", "marks", "path", "pieces", "tag", "text")
 
     def __init__(self, tag: str):
-        self.tag, self.marks, self.pieces, self.linked, self.text = tag, frozenset(), [], 0, ""
+        self.tag, self.marks, self.pieces, self.linked, self.text, self.path = tag, frozenset(), [], 0, "", "#"
 
 
 class _Open:
@@ -97,7 +97,7 @@ def leaf_blocks(page: str, known=None) -> list[Block]:
             if now.text:
                 out.append(now)
         now = Block(open_.tags[-1])
-        now.marks = open_.marks()
+        now.marks, now.path = open_.marks(), ">".join(open_.tags[-3:])
 
     def say(piece: str) -> None:
         if piece and not hushed:
@@ -161,7 +161,7 @@ def block_features(blocks: list[Block]) -> list[list[str]]:
         words = b.text.count(" ") + 1
         share = b.linked / max(1, len(b.text))
         near = [sum(x.text.count(" ") + 1 > s for s in _SIZES) for x in (blocks[i - 1] if i else None, blocks[i + 1] if i + 1 < len(blocks) else None) if x is not None]
-        mine = [*b.marks, f"tag={b.tag}", f"words={sum(words > s for s in _SIZES)}", f"near={max(near, default=0)}", f"links={int(min(share, 1) * 4)}", "bias"]
+        mine = [*sorted(b.marks), f"tag={b.tag}", f"path={b.path}", f"words={sum(words > s for s in _SIZES)}", f"near={max(near, default=0)}", f"links={int(min(share, 1) * 4)}", "bias"]
         if b.text[-1] in ".!?…。":
             mine.append("sentence")
         if "©" in b.text or "all rights reserved" in b.text.lower():
@@ -255,6 +255,11 @@ def labelled_page(rng: random.Random) -> tuple[str, list[str]]:
     outer = plain() if rng.random() < 0.4 else ("", "")
     head = rng.choice([f"<head><title>{say(2, 5)}</title></head><body>", f"<head><title>{say(2, 5)}</title><body>", f"<title>{say(2, 5)}</title>"])
     page = f"<html>{head}{outer[0]}{top}{before}{wrap[0]}{body()}{wrap[1]}{after}{foot}{outer[1]}</body></html>"
+    if rng.random() < 0.2:  # parts of pages, without the outer elements
+        page = page.removeprefix(f"<html>{head}").removesuffix("</body></html>")
+        if rng.random() < 0.4:
+            main.clear()
+            page = f"{wrap[0]}{body()}{wrap[1]}"
     return page, main
 
 
@@ -305,7 +310,7 @@ def train(pages: list[tuple[str, list[str]]], steps: int = STEPS, penalty: float
                 left.pop(0)
         # A word of a class or id is left out of some pages, so that no single one is trusted too much.
         features = block_features(blocks)
-        dropped = {x for x in {x for f in features for x in f if x.startswith("c=")} if rng.random() < DROPPED}
+        dropped = {x for x in sorted({x for f in features for x in f if x.startswith("c=")}) if rng.random() < DROPPED}
         rows.append(([[names.setdefault(x, len(names)) for x in f if x not in dropped] for f in features], labels))
     n, longest, width = len(rows), max(len(r[1]) for r in rows), len(names)
     y, real = np.zeros((n, longest), int), np.zeros((n, longest), bool)
