@@ -46,6 +46,8 @@ CLASS_RATIO = 1.25
 #: Share of the sets of a class that may need keys besides their slices.
 RARE = 0.05
 _SIGNED = "doc_id long, row long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>, need_own int, need_below int"
+#: Parts of key space, a power of two.
+ROUNDS = 4
 #: Bits of a set's parity sketch.
 SKETCH = 4096
 
@@ -255,25 +257,36 @@ def _rarest(nodes: DataFrame, percent: int) -> DataFrame:
     return held.select("node", F.explode(F.transform(first, lambda t: t["token"])).alias("token")).select("node", F.xxhash64("token", F.lit("rest")).alias("key"), F.lit(-1).alias("c"), F.lit(1).alias("need"))
 
 
-def _shared(posted: DataFrame) -> DataFrame:
-    """Rows (node, key, c, need) whose key another node has, of nodes with as many such keys in the cut as any linked pair agrees in.
+def _shared_keys(rows: DataFrame, percent: int) -> DataFrame:
+    """(node, key, c): keys that two nodes have, of nodes with as many such keys in the cut as any linked pair agrees in.
 
     A set needs its spare orders less its empty parts: who shares fewer is linked with nobody by that cut.
+    Key space is gone through in ``ROUNDS`` parts, so that the keys of all sets are never shuffled at once.
     """
+    held = rows.where("node is not null")
+    named = held.where(F.size("rest") > 0).select("node", "rest").dropDuplicates(["node"])
+    key = lambda x, c, need: F.struct(x.alias("key"), c.cast("int").alias("c"), F.col(need).alias("need"))
+    met = None
+    for i in range(ROUNDS):
+        mine = lambda c, i=i: F.filter(c, lambda k: (k != 0) & (k.bitwiseAND(ROUNDS - 1) == i))
+        keys = F.concat(F.transform(mine("own"), lambda x: key(x, F.col("size_class"), "need_own")), F.transform(mine("below"), lambda x: key(x, F.col("size_class") - 1, "need_below")))
+        part = _met(held.select("node", F.explode(keys).alias("k")).select("node", "k.key", "k.c", "k.need"))
+        met = part if met is None else met.unionByName(part)
+    met = met.unionByName(_met(_rarest(named, percent)))
+    enough = saved(met.groupBy("node", "c").agg(F.count("*").alias("n"), F.max("need").alias("need")).where("n >= need").select("node", "c"))
+    return _met(met.join(enough, ["node", "c"], "left_semi")).select("node", "key", "c")
+
+
+def _met(posted: DataFrame) -> DataFrame:
+    """Distinct rows whose key another node has too."""
     keys = saved(posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))  # apart, so that a hot key can be split in the join
-    met = saved(posted.join(keys, "key"))
-    enough = met.groupBy("node", "c").agg(F.count("*").alias("n"), F.max("need").alias("need")).where("n >= need").select("node", "c")
-    return saved(met.join(enough, ["node", "c"], "left_semi"))
+    return saved(posted.join(keys, "key").distinct())
 
 
 def _components(docs: DataFrame, percent: int, k: int) -> tuple[DataFrame, DataFrame]:
     """(signed rows; (node, comp) of the nodes that are linked with others)."""
     rows = saved(signed(docs, percent, k))
-    nodes = rows.where("node is not null").select("node", "size_class", "own", "below", "rest", "need_own", "need_below").dropDuplicates(["node"])
-    key = lambda x, c, need: F.struct(x.alias("key"), c.alias("c"), F.col(need).alias("need"))
-    keys = F.concat(F.transform("own", lambda x: key(x, F.col("size_class"), "need_own")), F.transform("below", lambda x: key(x, F.col("size_class") - 1, "need_below")))
-    posted = nodes.select("node", F.explode(F.filter(keys, lambda k: k["key"] != 0)).alias("k")).select("node", "k.key", "k.c", "k.need").unionByName(_rarest(nodes, percent))
-    met = _shared(_shared(posted)).select("node", "key", "c")
+    met = _shared_keys(rows, percent)
     wanted = saved(rows.join(met.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.min("doc_id").alias("doc_id")))
     sets = saved(_node_sets(docs, wanted, k))
     facts = saved(_facts(rows, wanted))
