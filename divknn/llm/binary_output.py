@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import saved, shared_dir, text_slices, table
-from .tokens import ChunkEncoder, vocabulary_path
+from .tokens import encoder, vocabulary_path
 
 LENGTH, END = 2048, 2
 _MANIFEST = "shard int, ids string, extents string, n_docs long, n_ids long"
@@ -75,7 +75,7 @@ def write_shards(docs: DataFrame, folder: str, path: str, length: int = LENGTH,
         files.create_dir(root, recursive=True)
         stem = f"{root}/{task.partitionId():06d}-{task.taskAttemptId()}"
         writer = extents = None
-        encoder = ChunkEncoder(path)
+        encode = encoder(path).encode
         n_docs = 0
         for batch in batches:
             ids_of = batch.column("doc_id")
@@ -83,7 +83,7 @@ def write_shards(docs: DataFrame, folder: str, path: str, length: int = LENGTH,
                 if writer is None:
                     sinks = [files.open_output_stream(f"{stem}.{kind}.arrow") for kind in ("ids", "extents")]
                     writer, extents = _Writer(sinks[0], length), pa.ipc.new_file(sinks[1], _EXTENTS)
-                ids, offsets = encoder.encode(texts, end)
+                ids, offsets = encode(texts, end)
                 extents.write_batch(pa.RecordBatch.from_arrays([ids_of[a:b], pa.array(offsets[:-1] + writer.total), pa.array(np.diff(offsets))], schema=_EXTENTS))
                 writer.add(ids)
                 n_docs += b - a
