@@ -32,7 +32,7 @@ from statistics import NormalDist
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import _mix, gram_hashes, saved, text_slices, table, word_hashes
@@ -45,7 +45,9 @@ STAGE_SHINGLE, STAGE_PERCENT = 5, 80
 CLASS_RATIO = 1.25
 #: Share of the sets of a class that may need keys besides their slices.
 RARE = 0.05
-_SIGNED = "doc_id long, row long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>, need_own int, need_below int"
+_SIGNED = "doc_id long, row long, n_shingles long, node long, size_class int, own array<long>, below array<long>, rest array<long>, need_own int, need_below int, fresh boolean"
+#: Nodes that a task remembers at most to tell copies apart.
+KNOWN = 1 << 20
 #: Parts of key space, a power of two.
 ROUNDS = 4
 #: Bits of a set's parity sketch.
@@ -161,9 +163,11 @@ def _row() -> Column:
 
 
 def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFrame:
+    """One row a document; ``fresh`` marks the first of its node in its task: copies beside it have no keys of their own."""
     classes = Classes(percent)
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: set[int] = set()
         for batch in batches:
             ids = batch.column("doc_id")
             for a, b, texts in text_slices(batch):
@@ -178,7 +182,12 @@ def signed(docs: DataFrame, percent: int = PERCENT, k: int = SHINGLE) -> DataFra
                 hollow = ((c >= 0) & (empty >= classes.spare[c])) | (low & (empty2 >= classes.spare[np.maximum(c - 1, 0)]))
                 rest = np.where(hollow, n, 0)
                 need, need2 = np.maximum(classes.spare[c] - empty, 1), np.maximum(classes.spare[np.maximum(c - 1, 0)] - empty2, 1)
-                cols = [ids[a:b], batch.column("row")[a:b], pa.array(n), pa.array(_node(grams, offsets).view(np.int64), mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(grams[hollow[who]], np.concatenate(([0], np.cumsum(rest)))), pa.array(need.astype(np.int32)), pa.array(need2.astype(np.int32))]
+                node = _node(grams, offsets).view(np.int64)
+                fresh = np.zeros(b - a, bool)
+                fresh[[i for v, i in zip(*map(np.ndarray.tolist, np.unique(node, return_index=True)), strict=True) if v not in known]] = True
+                known = known if len(known) < KNOWN else set()
+                known.update(node.tolist())
+                cols = [ids[a:b], batch.column("row")[a:b], pa.array(n), pa.array(node, mask=n == 0), pa.array(c.astype(np.int32)), _lists(keys, edge), _lists(keys2, edge2), _lists(grams[hollow[who]], np.concatenate(([0], np.cumsum(rest)))), pa.array(need.astype(np.int32)), pa.array(need2.astype(np.int32)), pa.array(fresh)]
                 yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in _SIGNED.split(", ")])
 
     return docs.select(F.col("doc_id").cast("long"), "text", _row().alias("row")).mapInArrow(sign, _SIGNED)
@@ -263,7 +272,7 @@ def _shared_keys(rows: DataFrame, percent: int) -> DataFrame:
     A set needs its spare orders less its empty parts: who shares fewer is linked with nobody by that cut.
     Key space is gone through in ``ROUNDS`` parts, so that the keys of all sets are never shuffled at once.
     """
-    held = rows.where("node is not null")
+    held = rows.where("node is not null and fresh")
     named = held.where(F.size("rest") > 0).select("node", "rest").dropDuplicates(["node"])
     key = lambda x, c, need: F.struct(x.alias("key"), c.cast("int").alias("c"), F.col(need).alias("need"))
     met = None
@@ -278,9 +287,10 @@ def _shared_keys(rows: DataFrame, percent: int) -> DataFrame:
 
 
 def _met(posted: DataFrame) -> DataFrame:
-    """Distinct rows whose key another node has too."""
-    keys = saved(posted.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("key"))  # apart, so that a hot key can be split in the join
-    return saved(posted.join(keys, "key").distinct())
+    """Distinct rows whose key another node has too, by one shuffle: a key's rows are sorted, and spilled where they are many."""
+    w = Window.partitionBy("key")
+    both = posted.withColumn("lo", F.min("node").over(w)).withColumn("hi", F.max("node").over(w))
+    return saved(both.where("lo < hi").drop("lo", "hi").distinct())
 
 
 def _components(docs: DataFrame, percent: int, k: int) -> tuple[DataFrame, DataFrame]:
