@@ -37,6 +37,11 @@ def test_one_pass_tells_all(spark):
     odd = partition.survey(points_of(spark, [[1.0, 2.0], None, [float("nan"), float("nan")], [1.0, None], [-3.0], []]).coalesce(1))
     assert (odd.n, odd.d, odd.most, odd.bad, odd.low, odd.cross) == (6, 0, 2, 3, -3.0, None)
     assert partition.survey(points_of(spark, [])).n == 0
+    for last in ([1.0], [1.0, float("nan")], None):
+        bad = points_of(spark, [[1.0, 2.0], last]).repartition(2)
+        assert partition.survey(bad).cross is None
+        with pytest.raises(ValueError):
+            partition.moments(bad)
 
 
 def test_the_sample_stays_off_the_driver(spark, monkeypatch):
